@@ -1,0 +1,94 @@
+"""Model search over pyspark.ml families under a time budget, with an ensemble that grows while time is left."""
+
+from __future__ import annotations
+
+import time
+from collections.abc import Sequence
+from dataclasses import dataclass, field
+
+from pyspark.ml import Model
+from pyspark.ml.classification import LinearSVC, MultilayerPerceptronClassifier
+from pyspark.ml.clustering import KMeans
+from pyspark.ml.feature import StandardScaler, VectorAssembler
+from pyspark.ml.regression import DecisionTreeRegressor, FMRegressor, GBTRegressor, GeneralizedLinearRegression, LinearRegression, RandomForestRegressor
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from augspark import measures
+
+
+def families(kind: str, task: str, inputs: int) -> list[tuple[str, object]]:
+    """(name, estimator), the cheap ones first."""
+    both = {"featuresCol": "x", "labelCol": "y"}
+    trees = [("tree", DecisionTreeRegressor(**both, maxDepth=5, seed=1)), ("forest", RandomForestRegressor(**both, numTrees=20, maxDepth=6, seed=1)), ("boosting", GBTRegressor(**both, maxIter=10, maxDepth=4, seed=1))]
+    if kind == "trees":
+        return trees
+    broad = [("linear", LinearRegression(**both)), ("glm", GeneralizedLinearRegression(**both)), *trees, ("fm", FMRegressor(**both, factorSize=2, stepSize=0.05, maxIter=30, seed=1))]
+    if task == "class":
+        broad += [("svm", LinearSVC(**both, maxIter=20)), ("perceptron", MultilayerPerceptronClassifier(**both, layers=[inputs, 8, 2], maxIter=30, seed=1))]
+    return broad
+
+
+@dataclass
+class Found:
+    models: list[tuple[str, Model, float]] = field(default_factory=list)
+    trace: list[tuple[float, str, float]] = field(default_factory=list)
+    seconds: float = 0.0
+
+    @property
+    def best(self) -> tuple[str, Model, float]:
+        return max(self.models, key=lambda m: m[2])
+
+
+class ModelSearch:
+    """Fits families until the budget ends (at least one), scored on a held-out share."""
+
+    def __init__(self, kind: str = "broad", budget_s: float = 60.0, task: str = "regression", enforce: bool = True) -> None:
+        self.kind, self.budget_s, self.task, self.enforce = kind, budget_s, task, enforce
+
+    def prepare(self, df: DataFrame, features: Sequence[str], target: str) -> DataFrame:
+        filled = df.select(*[F.coalesce(F.col(f).cast("double"), F.lit(0.0)).alias(f) for f in features], F.col(target).cast("double").alias("y"), *[c for c in ("held",) if c in df.columns])
+        return VectorAssembler(inputCols=list(features), outputCol="raw").transform(filled)
+
+    def run(self, df: DataFrame, features: Sequence[str], target: str, held: float = 0.2) -> Found:
+        began, out = time.monotonic(), Found()
+        data = self.prepare(df, features, target)
+        scaler = StandardScaler(inputCol="raw", outputCol="x", withMean=True).fit(data)
+        train, test = (part.cache() for part in scaler.transform(data).select("x", "y").randomSplit([1 - held, held], seed=7))
+        for name, estimator in families(self.kind, self.task, len(features)):
+            if out.models and self.enforce and time.monotonic() - began > self.budget_s:
+                break
+            model = estimator.fit(train)
+            got = self.measure(model.transform(test))
+            out.models.append((name, model, got))
+            out.trace.append((time.monotonic() - began, name, got))
+        top = sorted(out.models, key=lambda m: -m[2])[:2]
+        if len(top) == 2:
+            blended = top[0][1].transform(test).select("x", "y", F.col("prediction").alias("p0"))
+            blended = top[1][1].transform(blended).withColumn("prediction", (F.col("p0") + F.col("prediction")) / 2)
+            out.trace.append((time.monotonic() - began, "ensemble", self.measure(blended)))
+        train.unpersist(), test.unpersist()
+        out.seconds = time.monotonic() - began
+        return out
+
+    def measure(self, scored: DataFrame) -> float:
+        if self.task == "class":
+            return measures.accuracy(scored, "y", (F.col("prediction") >= 0.5).cast("double")).first()["accuracy"]
+        return measures.r2(scored, "y", "prediction").first()["r2"]
+
+
+class HostedSimulator(ModelSearch):
+    """A hosted service: runs to convergence whatever the budget, and bills at least a minimum of hours."""
+
+    def __init__(self, min_s: float = 3600.0, price: float = measures.HOSTED_PRICE, task: str = "regression") -> None:
+        super().__init__("broad", 0.0, task, enforce=False)
+        self.min_s, self.price = min_s, price
+
+    def bill(self, seconds: float) -> float:
+        return max(seconds, self.min_s) * self.price / 3600
+
+
+def cluster_baseline(df: DataFrame, features: Sequence[str], k: int = 3) -> float:
+    """Training cost of k-means over a materialised table, one of the learners that work on rows only."""
+    data = VectorAssembler(inputCols=list(features), outputCol="features").transform(df.select(*[F.col(f).cast("double") for f in features]))
+    return float(KMeans(k=k, seed=1).fit(data).summary.trainingCost)
