@@ -336,5 +336,3 @@ def exhaustive_small(spark, d):
         return folds.select("fold", gram.element(g["c"], [g["s"][i] for i in at], [g["q"][gram.at(at[i], at[j], 4)] for i, j in gram.pairs(len(at))]).alias("g")), len(at) - 1
 
     return spark.createDataFrame([("+".join(s), round(r, 4)) for s, r in exhaustive(of, list(t)) if s], "subset string, cv_r2 double")
-
-
