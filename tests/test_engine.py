@@ -90,7 +90,7 @@ def test_planted_search(spark, sf_dir):
     c = searching.corpus(spark, d)
     a = Search(c).run(searching.request(spark, d))
     assert [s.dataset for s in a.plan] == ["supplier", "part", "orders"] and a.cv_r2 > 0.999 and abs(a.base_r2) < 0.01
-    assert a.stopped == "gain"
+    assert a.stopped in ("gain", "no candidate")
     theta = dict(zip(a.feature_names, a.theta[1:], strict=True))
     assert theta["part__p_retailprice"] == pytest.approx(10, rel=1e-3) and theta["supplier__s_acctbal"] == pytest.approx(0.1, rel=1e-3)
     own = Search(c).run(searching.request(spark, d, returns=("MD",)))
