@@ -26,6 +26,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from augspark.llm.text import small_batches
+
 RANK_FILE = "byte_bpe_multi_50k.tiktoken"
 #: Texts above this many characters, and white-space runs above RUN, are cut first.
 LONG = 20_000
@@ -123,9 +125,11 @@ def count_ids(packed: Column) -> Column:
 
 def encode(docs: DataFrame, path: str | None = None, text: str = "text", out: str = "token_ids") -> DataFrame:
     """docs with the packed ids of each whole text in ``out``."""
+    small_batches(docs.sparkSession)
     return docs.withColumn(out, encoder(path or rank_path())(F.col(text)))
 
 
 def decode(tokens: DataFrame, path: str | None = None, ids: str = "token_ids", out: str = "decoded") -> DataFrame:
     """tokens with the raw bytes that its ids stand for in ``out``."""
+    small_batches(tokens.sparkSession)
     return tokens.withColumn(out, decoder(path or rank_path())(F.col(ids)))

@@ -21,6 +21,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from augspark.llm.text import small_batches
+
 THRESHOLD = 0.8
 MATCHES = "array<struct<license:string,start:int,end:int,dice:double>>"
 _WORD = re.compile(r"[^\W_]+")
@@ -130,6 +132,7 @@ def find_licenses(text: str, templates: Templates) -> list[tuple[str, int, int,
 
 def scan(docs: DataFrame, templates=TEMPLATES, threshold: float = THRESHOLD, text: str = "text", out: str = "license_matches") -> DataFrame:
     """docs with the licences found in each whole text as spans (license, start, end, dice)."""
+    small_batches(docs.sparkSession)
     known = Templates.of(templates, threshold)
 
     @F.pandas_udf(MATCHES)

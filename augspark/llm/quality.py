@@ -25,6 +25,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from augspark.llm.text import small_batches
+
 BUCKETS = 4096
 FACTORS = 8
 SAMPLE_ROWS = 8000
@@ -151,6 +153,7 @@ def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, bu
 
 def score(docs: DataFrame, machine: Machine, out: str = "quality_score") -> DataFrame:
     """docs with a score from 0 to 1 of each whole text."""
+    small_batches(docs.sparkSession)
     buckets = len(machine.w) - STATS
 
     @F.pandas_udf("double")

@@ -20,6 +20,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from augspark.llm.text import small_batches
+
 KINDS = ("assign", "access", "hex", "markov")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII | re.IGNORECASE)
 #: Greedy runs, so a minimum in the pattern equals dropping short matches.
@@ -114,6 +116,7 @@ def scanner(pair: MarkovPair):
 
 def scan(docs: DataFrame, samples: Iterable[tuple[str, int]] | None = None, text: str = "text", out: str = "secret_spans") -> DataFrame:
     """docs with the secrets of each whole text as spans (kind, start, end)."""
+    small_batches(docs.sparkSession)
     return docs.withColumn(out, scanner(train(samples))(F.col(text)))
 
 
@@ -128,6 +131,7 @@ def describe(spans: Column) -> Column:
 
 def redact(docs: DataFrame, samples: Iterable[tuple[str, int]] | None = None, mark: str = "[SECRET]") -> DataFrame:
     """docs with every span replaced by a mark, overlapping spans by one; a text without spans stays as it is."""
+    small_batches(docs.sparkSession)
     pair = train(samples)
 
     @F.pandas_udf("string")

@@ -27,6 +27,7 @@ from pyspark.sql import functions as F
 
 from augspark.cluster import materialize
 from augspark.llm.components import connected
+from augspark.llm.text import small_batches
 
 RADIUS = 2
 SHINGLE = 3
@@ -69,6 +70,7 @@ def print_text(text: str):
 
 def fingerprints(docs: DataFrame) -> DataFrame:
     """(doc_id, fp): the fingerprint as a signed long."""
+    small_batches(docs.sparkSession)
     return docs.select("doc_id", print_text("text").alias("fp"))
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 #: A word is a run of anything but space, tab, line feed, vertical tab, form feed and carriage return.
@@ -18,3 +18,10 @@ def words(text: Column) -> Column:
 def let(value: Column, body) -> Column:
     """``body(value)`` with the value computed once a row, however often the body uses it."""
     return F.transform(F.array(value), body)[0]
+
+
+def small_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Bound what a Python worker holds of long texts at once: a run-time setting of rows in an Arrow batch."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if int(spark.conf.get(key)) > rows:
+        spark.conf.set(key, rows)
