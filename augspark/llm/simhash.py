@@ -22,7 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from augspark.cluster import materialize
@@ -37,20 +37,24 @@ TILE_ROWS = 50_000
 _BITS = (np.uint64(1) << np.arange(64, dtype=np.uint64)).astype(np.uint64)
 
 
-def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
-    """The 64-bit fingerprint of a whole text."""
+def shingle_hashes(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
+    """XXH64 of each shingle in order: none for a blank text, one for a text with fewer words than a shingle."""
     from xxhash import xxh64_intdigest as h
 
     ws = (text or "").encode("utf-8").lower().split()  # bytes: exactly A-Z, and exactly the six ASCII spaces
-    if not ws:
-        return 0
-    if len(ws) < shingle:
-        return h(b" ".join(ws), SEED)
     joined = b" ".join(ws)
+    if len(ws) < shingle:
+        return np.array([h(joined, SEED)] if ws else [], np.uint64)
     ends = np.append(np.flatnonzero(np.frombuffer(joined, np.uint8) == 32), len(joined))
     starts = np.concatenate(([0], ends[:-1] + 1))
     n = len(ws) - shingle + 1
-    hashes = np.fromiter((h(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist(), strict=True)), np.uint64, n)
+    return np.fromiter((h(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist(), strict=True)), np.uint64, n)
+
+
+def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
+    """The 64-bit fingerprint of a whole text."""
+    hashes = shingle_hashes(text, shingle)
+    n = len(hashes)
     ones = np.zeros(64, np.int64)
     for at in range(0, n, 65_536):
         ones += np.unpackbits(hashes[at : at + 65_536].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
@@ -222,10 +226,14 @@ def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     Where doc_ids name one row each, losers leave by an anti-join on the id. Otherwise (repeated rows, one id with
     several texts, null ids) fingerprints are joined instead, and one row of each component stays.
     """
-    found = materialize(near_duplicates(docs, radius), "components")
+    return keep_first(docs, materialize(near_duplicates(docs, radius), "components"), print_text("text"))
+
+
+def keep_first(docs: DataFrame, found: DataFrame, printed: Column) -> DataFrame:
+    """``keep_one`` for components (doc_id, fp, root, component_id) of any kind; printed gives the fp of a row."""
     if found.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1 or doc_id is null").isEmpty():
         gone = found.filter("doc_id != component_id").select("doc_id")
         return docs.join(gone, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
     first = found.select(F.col("fp").alias("_fp_of"), F.col("root").alias("_root"), F.col("component_id").alias("_first")).distinct()
-    printed = docs.withColumn("_fp", print_text("text")).join(first, F.col("_fp") == F.col("_fp_of"))
-    return printed.filter(F.col("doc_id").eqNullSafe(F.col("_first"))).dropDuplicates(["_root"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    known = docs.withColumn("_fp", printed).join(first, F.col("_fp") == F.col("_fp_of"))
+    return known.filter(F.col("doc_id").eqNullSafe(F.col("_first"))).dropDuplicates(["_root"]).select(*[F.col(f"`{c}`") for c in docs.columns])
