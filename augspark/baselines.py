@@ -85,17 +85,36 @@ def neighbours(queries: DataFrame, pool: DataFrame, features: Sequence[str], k:
     return both.withColumn("d", F.round(far, 8)).withColumn("n", rank).filter(F.col("n") <= k)
 
 
-def novelty(user: DataFrame, other: DataFrame, features: Sequence[str], k: int = 3) -> DataFrame:
+def neighbours_all(queries: DataFrame, pool: DataFrame, features: Sequence[str], k: int = 3) -> DataFrame:
+    """``neighbours`` (qid, id, other pool columns) for tables of any size whose features take few distinct values together.
+
+    Equal points are compared once, and a point sends only its k + 1 smallest ids: a later one can't be among the k
+    nearest of any row, itself left out. Pairs are formed of distinct points, not of rows.
+    """
+    f = [F.col(x).cast("double") for x in features]
+    points = pool.groupBy(*[c.alias(f"p_{x}") for c, x in zip(f, features, strict=True)]).agg(F.slice(F.sort_array(F.collect_set("id")), 1, k + 1).alias("ids"))
+    asked = queries.select(*[c.alias(f"q_{x}") for c, x in zip(f, features, strict=True)]).distinct()
+    far = F.round(_distance([F.col(f"q_{x}") for x in features], [F.col(f"p_{x}") for x in features]), 8)
+    pairs = asked.crossJoin(F.broadcast(points)).select(*[f"q_{x}" for x in features], far.alias("d"), F.explode("ids").alias("id"))
+    by_point = [f"q_{x}" for x in features]
+    near = pairs.withColumn("n", F.row_number().over(Window.partitionBy(*by_point).orderBy("d", "id"))).filter(F.col("n") <= k + 1)
+    near = near.groupBy(*by_point).agg(F.sort_array(F.collect_list(F.struct("n", "id"))).alias("near"))
+    own = queries.select(F.col("id").alias("qid"), *[c.alias(f"o_{x}") for c, x in zip(f, features, strict=True)])
+    met = own.join(near, [F.col(f"o_{x}").eqNullSafe(F.col(f"q_{x}")) for x in features])
+    left = F.slice(F.filter("near", lambda e: e["id"] != F.col("qid")), 1, k)
+    found = met.select("qid", F.explode(left).alias("e")).select("qid", F.col("e.id").alias("nid"))
+    return found.join(pool.drop(*features), F.col("nid") == F.col("id")).drop("nid")
+
+
+def novelty(user: DataFrame, other: DataFrame, features: Sequence[str], k: int = 3, near=neighbours) -> DataFrame:
     """How well 3-NN tells a candidate's rows from the user's (samples with unique ids): accuracy, leaving each row itself out."""
     pool = user.withColumn("origin", F.lit(0)).unionByName(other.withColumn("origin", F.lit(1)))
-    near = neighbours(pool, pool.select("id", "origin", *features), features, k)
-    voted = near.groupBy("qid").agg((F.sum("origin") * 2 > k).cast("int").alias("vote")).join(pool.select(F.col("id").alias("qid"), "origin"), "qid")
+    voted = near(pool, pool.select("id", "origin", *features), features, k).groupBy("qid").agg((F.sum("origin") * 2 > k).cast("int").alias("vote")).join(pool.select(F.col("id").alias("qid"), "origin"), "qid")
     return voted.agg(F.avg((F.col("vote") == F.col("origin")).cast("double")).alias("novelty"))
 
 
-def knn_regress(queries: DataFrame, pool: DataFrame, features: Sequence[str], target: str, k: int = 3) -> DataFrame:
-    near = neighbours(queries, pool.select("id", target, *features), features, k)
-    return near.groupBy("qid").agg(F.avg(target).alias("prediction"))
+def knn_regress(queries: DataFrame, pool: DataFrame, features: Sequence[str], target: str, k: int = 3, near=neighbours) -> DataFrame:
+    return near(queries, pool.select("id", target, *features), features, k).groupBy("qid").agg(F.avg(target).alias("prediction"))
 
 
 def exhaustive(folds_of, candidates: Sequence[str], max_len: int | None = None) -> list[tuple[tuple[str, ...], float]]:

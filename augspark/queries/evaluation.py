@@ -106,8 +106,8 @@ def injection_select(spark, d):
 _NN = "(SELECT (l_orderkey * 10 + l_linenumber) AS id, l_quantity AS a, l_discount * 100 AS b, l_extendedprice / 1000 AS y, row_number() OVER (PARTITION BY l_orderkey * 10 + l_linenumber ORDER BY l_extendedprice, l_partkey) AS n FROM lineitem WHERE l_orderkey < 120)"
 
 
-def _sample(spark, d):
-    df = table(spark, d, "lineitem").filter("l_orderkey < 120").withColumn("id", F.col("l_orderkey") * 10 + F.col("l_linenumber"))
+def _sample(spark, d, rows="l_orderkey < 120"):
+    df = table(spark, d, "lineitem").filter(rows).withColumn("id", F.col("l_orderkey") * 10 + F.col("l_linenumber"))
     n = F.row_number().over(Window.partitionBy("id").orderBy("l_extendedprice", "l_partkey"))
     return df.withColumn("n", n).filter("n = 1").select("id", F.col("l_quantity").alias("a"), (F.col("l_discount") * 100).alias("b"), (F.col("l_extendedprice") / 1000).alias("y"))
 
@@ -124,6 +124,20 @@ def knn_regress(spark, d):
     return baselines.knn_regress(s, s, ["a", "b"], "y").select("qid", F.round("prediction", 5).alias("prediction"))
 
 
+@register("novelty_rank_all")
+def novelty_rank_all(spark, d):
+    """novelty_rank over all rows; SQL would form every pair of rows."""
+    s = _sample(spark, d, "true")
+    return baselines.novelty(s.filter("a <= 30").select("id", "a", "b"), s.filter("a > 30").select("id", "a", "b"), ["a", "b"], near=baselines.neighbours_all).select(F.round("novelty", 6).alias("novelty"))
+
+
+@register("knn_regress_all")
+def knn_regress_all(spark, d):
+    """knn_regress over all rows."""
+    s = materialize(_sample(spark, d, "true"), "knn-rows")
+    return baselines.knn_regress(s, s, ["a", "b"], "y", near=baselines.neighbours_all).select("qid", F.round("prediction", 5).alias("prediction"))
+
+
 @register("modelsearch_broad")
 def modelsearch_broad(spark, d):
     return _model_search(spark, d, "broad")

@@ -154,6 +154,32 @@ def cosine_topk(spark, d):
     return pairs.withColumn("n", n).filter("n <= 3").drop("n")
 
 
+@register("cosine_topk_all", "WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings), p AS (SELECT a.vec_id AS a, b.vec_id AS b, round(list_dot_product(a.v, b.v) / sqrt(list_dot_product(a.v, a.v) * list_dot_product(b.v, b.v)), 6) AS cosine FROM e a, e b WHERE a.vec_id % 100 = 0 AND a.vec_id <> b.vec_id) SELECT a, b, cosine FROM (SELECT *, row_number() OVER (PARTITION BY a ORDER BY cosine DESC, b) AS n FROM p) WHERE n <= 3")
+def cosine_topk_all(spark, d):
+    """Semantic neighbours of every hundredth vector; blocks of queries meet blocks of vectors, each giving its best three."""
+    import numpy as np
+    import pandas as pd
+    from pyspark.sql import Window
+
+    def best(pairs):
+        for pdf in pairs:
+            for qs, vs in zip(pdf["qs"], pdf["vs"], strict=True):
+                (a, x), (b, y) = ((np.array([r["vec_id"] for r in rows]), np.array([r["embedding"] for r in rows], float)) for rows in (qs, vs))
+                cosine = np.round(x @ y.T / np.sqrt(np.outer((x * x).sum(axis=1), (y * y).sum(axis=1))), 6)
+                for i, own in enumerate(a):
+                    at = np.lexsort((b, -cosine[i]))
+                    at = at[b[at] != own][:3]
+                    yield pd.DataFrame({"a": own, "b": b[at], "cosine": cosine[i][at]})
+
+    v = table(spark, d, "embeddings").select("vec_id", "embedding")
+    rows = F.collect_list(F.struct("vec_id", "embedding"))
+    qs = v.filter("vec_id % 100 = 0").groupBy(F.floor(F.col("vec_id") / 25_600).alias("qb")).agg(rows.alias("qs"))
+    vs = v.groupBy(F.floor(F.col("vec_id") / 2048).alias("vb")).agg(rows.alias("vs"))
+    met = qs.crossJoin(vs).repartition("qb", "vb").select("qs", "vs")
+    n = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("cosine"), "b"))
+    return met.mapInPandas(best, "a long, b long, cosine double").withColumn("n", n).filter("n <= 3").drop("n")
+
+
 @register("valid_keys", "SELECT 'l_suppkey' AS \"column\" UNION ALL SELECT 'l_partkey'")
 def valid_keys(spark, d):
     p = stats.compute(lines(spark, d), ["l_quantity", "l_partkey", "l_suppkey", "l_tax"])

@@ -67,6 +67,7 @@ same_sql("join_semi", "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT
 same_sql("join_anti", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT user_id FROM events)", "SELECT c_custkey FROM customer LEFT ANTI JOIN events ON c_custkey = user_id")
 same_sql("join_nullsafe", "SELECT a.k AS k, count(*) AS n FROM (SELECT nullif(n_regionkey, 0) AS k FROM nation) a JOIN (SELECT nullif(r_regionkey, 0) AS k FROM region) b ON a.k IS NOT DISTINCT FROM b.k GROUP BY a.k")
 same_sql("join_lateral", "SELECT c_custkey, t.o_orderkey FROM (SELECT * FROM customer WHERE c_custkey < 200) c, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c.c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 1) t")
+same_sql("join_lateral_all", "SELECT c_custkey, t.o_orderkey FROM customer c, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c.c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 1) t")
 
 
 @register("join_range", "SELECT b.cell, count(*)::BIGINT AS n FROM lineitem JOIN (SELECT r AS cell, r * 10.0 AS low, (r + 1) * 10.0 AS high FROM range(0, 6) t(r)) b ON l_quantity >= low AND l_quantity < high GROUP BY 1")
