@@ -7,6 +7,7 @@ kept as the request's rows plus one column per accepted feature; joins to per-ke
 
 from __future__ import annotations
 
+import itertools
 import time
 from collections.abc import Sequence
 from functools import reduce
@@ -89,7 +90,7 @@ class Search:
         own = sketches.filter("key_name = '*'").select(F.lit("base").alias("dataset"), "fold", "g")
         return crossval.score(own, list(names).index(target), lam=self.lam).first()
 
-    def run(self, req: Request, max_rounds: int = 20) -> Answer:
+    def run(self, req: Request, max_rounds: int | None = None) -> Answer:
         spark, began, out = req.train.sparkSession, time.monotonic(), Answer()
         names = [*req.features, req.target]
         rows = req.train.select(*names, *req.keys, F.col(req.fold).alias("_fold"))
@@ -102,7 +103,10 @@ class Search:
                 out.base_r2 = out.cv_r2 = first["cv_r2"]
                 out.theta, out.feature_names = list(first["theta"]), [n for n in names if n != req.target]
                 out.trace.append((time.monotonic() - began, 0, out.cv_r2))
-                for n in range(1, max_rounds + 1):
+                for n in itertools.count(1):
+                    if max_rounds is not None and n > max_rounds:
+                        out.stopped = "rounds"
+                        break
                     left = req.budget_s - (time.monotonic() - began)
                     if left <= 0:
                         out.stopped = "budget"
