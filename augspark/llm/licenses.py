@@ -1,10 +1,12 @@
-"""License scans: runs of lines compared to licence templates by Dice coefficient over word bigrams.
+"""License scans: runs of words compared to licence templates by Dice coefficient over word bigrams.
 
 Texts and templates are normalised to lower-case words of letters and digits. Dice is 2 |A and B| / (|A| + |B|) over
 bigram multisets (a single word counts as one bigram with an empty end). Since |A and B| is at most the smaller size, a
 run whose size is outside [t / (2 - t), (2 - t) / t] times a template's can't reach t: such templates are not compared.
-Runs begin and end at lines that share a bigram with some template; of overlapping matches the best stays (longer, then
-earlier, then smaller name on ties).
+Runs begin and end at any word, with a bigram that the template has: one without it at an end only lowers Dice. Of
+overlapping matches of a template the best stays, then of those of all templates (longer, then earlier, then smaller name
+on ties); a match inside a longer one of the same licence goes first. A match with all words of a line has its
+punctuation too.
 
 Defined results: a null or empty text has no match; whole texts are scanned; a licence over several lines is found as
 one run; repeated rows match alike; an empty table gives an empty table; extra columns are carried along.
@@ -12,6 +14,10 @@ one run; repeated rows match alike; an empty table gives an empty table; extra c
 
 from __future__ import annotations
 
+import bisect
+import functools
+import itertools
+import math
 import re
 from collections import Counter
 from collections.abc import Iterator, Mapping
@@ -95,39 +101,86 @@ class Templates:
         """Templates that a run of so many bigrams can match at all."""
         return [i for i, s in enumerate(self.sizes) if 2 * min(s, size) / (s + size) >= self.threshold]
 
-    @property
-    def largest(self) -> float:
-        return max(self.sizes, default=0) * (2 - self.threshold) / self.threshold
+    def longest(self, t: int) -> int:
+        """Bigrams of the longest run that can match a template."""
+        return int(self.sizes[t] * (2 - self.threshold) / self.threshold + 1e-9)
+
+    @functools.cached_property
+    def having(self) -> dict[tuple[str, str], list[int]]:
+        """The templates with a bigram."""
+        out: dict[tuple[str, str], list[int]] = {}
+        for t, grams in enumerate(self.grams):
+            for g in grams:
+                out.setdefault(g, []).append(t)
+        return out
+
+    @functools.cached_property
+    def single(self) -> bool:
+        return any(not g[1] for g in self.known)
 
 
 def find_licenses(text: str, templates: Templates) -> list[tuple[str, int, int, float]]:
     """(name, start, end, dice) of the matches in a text, by start; code points, end exclusive."""
-    lines, at = [], 0
-    for line in text.split("\n"):
-        words = normal(line)
-        if words:
-            hit = any(g in templates.known for g in zip(words, words[1:], strict=False)) or (len(words) == 1 and (words[0], "") in templates.known)
-            lines.append((at, at + len(line), words, hit))
-        at += len(line) + 1
-    found = []
-    for i, (start, _, words, hit) in enumerate(lines):
-        if not hit:
+    words: list[str] = []
+    spans: list[tuple[int, int]] = []
+    for m in _WORD.finditer(text):
+        for w in normal(m[0]):  # lower case can split a word
+            words.append(w)
+            spans.append(m.span())
+    at: dict[int, list[int]] = {}  # of each template, the positions of bigrams that it shares
+    for i, g in enumerate(zip(words, words[1:], strict=False)):
+        for t in templates.having.get(g, ()):
+            at.setdefault(t, []).append(i)
+    if templates.single:
+        for i, w in enumerate(words):
+            for t in templates.having.get((w, ""), ()):
+                at.setdefault(t, []).append(i)
+    near = []
+    for t, shared in at.items():
+        last = 0 if (words[shared[0]], "") in templates.grams[t] else 1  # words of a bigram after its first
+        own = [(d, *_whole_lines(text, spans[i][0], spans[j + last][1]), templates.names[t]) for d, i, j in _windows(words, shared, templates, t)]
+        near += _best(own)
+    return [(n, a, b, d) for d, a, b, n in sorted(_best([x for x in near if not any(x[3] == y[3] and y[1] <= x[1] and x[2] <= y[2] and y[2] - y[1] > x[2] - x[1] for y in near)]), key=lambda x: (x[1], x[2]))]
+
+
+def _windows(words: list[str], shared: list[int], templates: Templates, t: int) -> Iterator[tuple[float, int, int]]:
+    """(dice, first, last) of runs between shared bigrams that reach the threshold with a template."""
+    grams, size, most = templates.grams[t], templates.sizes[t], templates.longest(t)
+    need = max(1, math.ceil(templates.threshold * size / (2 - templates.threshold) - 1e-9))  # fewer common bigrams can't reach it
+    for k, i in enumerate(shared):
+        if k + need > len(shared) or shared[k + need - 1] - i >= most:
             continue
-        run: list[str] = []
-        for _, end, more, last in lines[i:]:
-            run += more
-            if len(run) - 1 > templates.largest:
+        seen: Counter = Counter()
+        common = 0
+        for j in itertools.islice(shared, k, None):
+            if j - i >= most:
                 break
-            if last and (near := templates.candidates(max(1, len(run) - 1))):
-                own = bigrams(run)
-                for t in near:
-                    if (d := dice(own, templates.grams[t])) >= templates.threshold:
-                        found.append((d, start, end, templates.names[t]))
-    kept: list[tuple[str, int, int, float]] = []
-    for d, start, end, name in sorted(found, key=lambda x: (-x[0], x[1] - x[2], x[1], x[3])):
-        if all(end <= a or b <= start for _, a, b, _ in kept):
-            kept.append((name, start, end, d))
-    return sorted(kept, key=lambda x: (x[1], x[2]))
+            g = (words[i], "") if (words[i], "") in grams else (words[j], words[j + 1])
+            seen[g] += 1
+            common += seen[g] <= grams[g]
+            d = 2 * common / (size + j - i + 1)
+            if d >= templates.threshold:
+                yield d, i, j
+
+
+def _whole_lines(text: str, start: int, end: int) -> tuple[int, int]:
+    """A run that has all words of its first or last line takes the line's other characters too."""
+    low = text.rfind("\n", 0, start) + 1
+    high = text.find("\n", end)
+    high = len(text) if high < 0 else high
+    return start if _WORD.search(text, low, start) else low, end if _WORD.search(text, end, high) else high
+
+
+def _best(found: list[tuple[float, int, int, str]]) -> list[tuple[float, int, int, str]]:
+    """Of overlapping (dice, start, end, name) the best: longer, then earlier, then smaller name on ties."""
+    kept: list[tuple[float, int, int, str]] = []
+    starts: list[tuple[int, int]] = []
+    for x in sorted(found, key=lambda x: (-x[0], x[1] - x[2], x[1], x[3])):
+        k = bisect.bisect(starts, (x[1], x[2]))
+        if (k == 0 or starts[k - 1][1] <= x[1]) and (k == len(starts) or x[2] <= starts[k][0]):
+            starts.insert(k, (x[1], x[2]))
+            kept.append(x)
+    return kept
 
 
 def scan(docs: DataFrame, templates=TEMPLATES, threshold: float = THRESHOLD, text: str = "text", out: str = "license_matches") -> DataFrame:
