@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+from types import SimpleNamespace
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -145,7 +148,16 @@ def shape_estimate(spark, d):
 @register("budget_filter", "SELECT dataset FROM (VALUES ('a', 1.0), ('b', 2.5), ('c', 9.0)) AS t(dataset, s) WHERE s <= 3")
 def budget_filter(spark, d):
     """Candidates whose predicted training fits the remaining budget."""
-    return spark.createDataFrame([("a", 1.0), ("b", 2.5), ("c", 9.0)], "dataset string, predicted_s double").filter(F.col("predicted_s") <= 3.0).select("dataset")
+    from augspark.search.cost import CostModel
+
+    shapes = [("a", 100, 2, 1.0), ("b", 10_000, 3, 2.5), ("c", 1_000_000, 4, 9.0)]
+    timings = spark.createDataFrame([("any", rows, cols, s) for _, rows, cols, s in shapes for _ in range(40)], "family string, rows long, cols int, seconds double")
+    search = Search(None, cost=CostModel(timings, trainings=1, safety=1.0))
+    found = []
+    for name, rows, cols, _ in shapes:
+        one = spark.createDataFrame([(1, 2.0, 3.0)], "k int, x double, y double")
+        found += [(name, x) for x in search.affordable(Request(one.withColumn("fold", F.lit(0)), ["x"], "y", {"k": "k"}, model="any"), [("vertical", SimpleNamespace(features=["f"], row_count=rows), "k")], rows, cols - 1, 3.0)]
+    return spark.createDataFrame([(name,) for name, _ in found], "dataset string")
 
 
 @register("cost_model_predict")
@@ -246,10 +258,11 @@ def cache_savings(spark, d):
 @register("cache_trial_gain", f"WITH {_cv_sql('r', {'all': ['part', 'supplier', 'orders']})} SELECT 'hit' AS outcome, round(cv_r2, 2) AS cv_r2 FROM r")
 def cache_trial_gain(spark, d):
     """A resampled request profits from the plan that an earlier one left in the cache."""
-    cache, (_, first) = PlanCache(), answer(spark, d)
-    cache.put("schema", "first", first.plan)
-    got, plan = cache.trial("schema", lambda p: sum(s.gain for s in p))
-    return spark.createDataFrame([(got, round(plan[-1].cv_r2, 2))], "outcome string, cv_r2 double")
+    cache, c, req = PlanCache(), corpus(spark, d), request(spark, d)
+    Search(c).run(req, cache=cache)
+    again = replace(req, train=req.train.filter(F.abs(F.hash("l_partkey", "l_suppkey", "l_orderkey")) % 5 > 0))
+    got = Search(c).run(again, cache=cache)
+    return spark.createDataFrame([(got.cached, round(got.cv_r2, 2))], "outcome string, cv_r2 double")
 
 
 PLAN = [Step("vertical", "part", "l_partkey", 0.3, 0.3), Step("vertical", "supplier", "l_suppkey", 0.3, 0.6)]

@@ -19,6 +19,7 @@ from augspark.assess import crossval, horizontal, vertical
 from augspark.catalog import Corpus, Dataset, allowed_kinds, one_row_per_key
 from augspark.cluster import materialize
 from augspark.ring import gram
+from augspark.search.cache import PlanCache
 from augspark.search.cost import CostModel
 from augspark.search.deadline import Deadline
 from augspark.search.request import Answer, Request, Step
@@ -37,6 +38,11 @@ def refresh_sketches(rows: DataFrame, features: Sequence[str], keys: Sequence[st
     return materialize(build.round_sketches(rows, features, keys, fold), "round")
 
 
+def schema_of(req: Request) -> str:
+    """The training schema that cached plans are kept by."""
+    return repr((sorted(req.features), req.target, sorted(req.keys.items())))
+
+
 class Search:
     def __init__(self, corpus: Corpus, delta: float = DELTA, order: str = "horizontal_first", mode: str = "mean", impute: str = "mean", api_may_join: bool = False, cost: CostModel | None = None, lam: float = 1e-6) -> None:
         self.corpus, self.delta, self.order, self.mode, self.impute, self.api_may_join, self.cost, self.lam = corpus, delta, order, mode, impute, api_may_join, cost, lam
@@ -90,7 +96,8 @@ class Search:
         own = sketches.filter("key_name = '*'").select(F.lit("base").alias("dataset"), "fold", "g")
         return crossval.score(own, list(names).index(target), lam=self.lam).first()
 
-    def run(self, req: Request, max_rounds: int | None = None) -> Answer:
+    def run(self, req: Request, max_rounds: int | None = None, cache: PlanCache | None = None) -> Answer:
+        """The greedy plan. With a cache, the search begins with a cached plan that gains on this request, and leaves its own."""
         spark, began, out = req.train.sparkSession, time.monotonic(), Answer()
         names = [*req.features, req.target]
         rows = req.train.select(*names, *req.keys, F.col(req.fold).alias("_fold"))
@@ -103,6 +110,22 @@ class Search:
                 out.base_r2 = out.cv_r2 = first["cv_r2"]
                 out.theta, out.feature_names = list(first["theta"]), [n for n in names if n != req.target]
                 out.trace.append((time.monotonic() - began, 0, out.cv_r2))
+                if cache is not None and req.budget_s > time.monotonic() - began:
+                    tried: dict[int, tuple] = {}
+
+                    def gain_of(plan) -> float:
+                        tried[id(plan)] = got = self.follow(plan, req, rows, names, first["cv_r2"], req.budget_s - (time.monotonic() - began))
+                        out.scored += 1
+                        return got[2][-1].cv_r2 - first["cv_r2"] if got and got[2] else float("-inf")
+
+                    out.cached, plan = cache.trial(schema_of(req), gain_of, self.delta)
+                    if plan is not None:
+                        rows, names, out.plan, sketches, theta = tried[id(plan)]
+                        used = {(x.kind, x.dataset, x.key) for x in out.plan}
+                        joined = any(x.kind == "vertical" for x in out.plan)
+                        out.cv_r2, out.theta = out.plan[-1].cv_r2, theta
+                        out.feature_names = [x for x in names if x != req.target]
+                        out.trace.append((time.monotonic() - began, 0, out.cv_r2))
                 for n in itertools.count(1):
                     if max_rounds is not None and n > max_rounds:
                         out.stopped = "rounds"
@@ -139,8 +162,33 @@ class Search:
                 if not deadline.expired:
                     raise
                 out.stopped = "budget"
+        if cache is not None and out.plan:
+            steps = tuple((x.kind, x.dataset, x.key) for x in out.plan)
+            cache.put(schema_of(req), repr(steps), list(out.plan))
         return out
 
+    def follow(self, plan: Sequence[Step], req: Request, rows: DataFrame, names: Sequence[str], before: float, left: float):
+        """(rows, names, steps, sketches, theta) of a plan assessed on a request's own rows; None where a step isn't allowed or affordable."""
+        used, steps, names, began = set(), [], list(names), time.monotonic()
+        sketches, theta, was = None, [], self._unions_done
+        self._unions_done = True  # a plan may join first or only join
+        try:
+            for x in plan:
+                found = [c for c in self.candidates(req, used, any(y.kind == "vertical" for y in steps)) if (c[0], c[1].name, c[2]) == (x.kind, x.dataset, x.key)]
+                count = int(rows.count()) if self.cost and found else 0
+                if not found or not self.affordable(req, found, count, len(names), left - (time.monotonic() - began)):
+                    return None
+                rows, new = self.extend(rows, found[0][1], x.kind, x.key, req, names)
+                names = [*names, *new]
+                used.add((x.kind, x.dataset, x.key))
+                sketches = refresh_sketches(rows, names, list(req.keys), "_fold")
+                now = self.base(sketches, names, req.target)
+                steps.append(Step(x.kind, x.dataset, x.key, now["cv_r2"] - before, now["cv_r2"]))
+                before, theta = now["cv_r2"], list(now["theta"])
+        finally:
+            self._unions_done = was
+        return rows, names, steps, sketches, theta
+
     def extend(self, rows: DataFrame, d: Dataset, kind: str, key: str | None, req: Request, names: Sequence[str]) -> tuple[DataFrame, list[str]]:
         """The plan's rows with an accepted augmentation, and the names of its new features."""
         if d.data is None:

@@ -56,4 +56,5 @@ class Answer:
     feature_names: list[str] = field(default_factory=list)
     trace: list[tuple[float, int, float]] = field(default_factory=list)
     stopped: str = ""
+    cached: str = ""
     scored: int = 0
