@@ -4,14 +4,15 @@ The library's regular expression recurses on long runs, so a text that is long o
 first cut where no match can reach across:
 
 * between a word character and a following space or line feed: no alternative has white space after anything else;
-* before the last character of a white-space run that something follows: the run's other characters are one match;
-* what is still long after that is matched by the ``regex`` module, and each match is encoded as a single piece.
+* what is still long after that, or holds a long white-space run, is matched by the ``regex`` module, and each match is
+  encoded as a single piece.
 
 Encoded documents are packed as little-endian unsigned 32-bit ids, the usual token shard format. Decoding returns raw
 bytes, so ids that end inside a character survive.
 
 Defined results: a null text encodes as the empty text (no ids); an empty table gives an empty table; texts of any
-length are encoded whole; null ids decode to empty bytes; extra columns are carried along.
+length are encoded whole; null ids decode to empty bytes; repeated rows encode alike; extra columns are carried along, but
+columns that have the names of the results (``token_ids``, ``decoded``) are replaced.
 """
 
 from __future__ import annotations

@@ -46,7 +46,7 @@ def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op5_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = scratch_path(spark, "warc")
     warc.write_archives(table(spark, sf_dir, "pages").select("page_id", "url", "html"), path)
-    read = warc.read_archives(spark, path)
+    read = warc.verified(spark, path)
     return read.select(
         warc.page_of(F.col("record_id")).alias("page_id"),
         F.col("payload_length").alias("payload_bytes"),

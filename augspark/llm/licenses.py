@@ -9,7 +9,8 @@ on ties); a match inside a longer one of the same licence goes first. A match wi
 punctuation too.
 
 Defined results: a null or empty text has no match; whole texts are scanned; a licence over several lines is found as
-one run; repeated rows match alike; an empty table gives an empty table; extra columns are carried along.
+one run; repeated rows match alike; an empty table gives an empty table; extra columns are carried along, but a column
+that has the name of the result (``license_matches``) is replaced.
 """
 
 from __future__ import annotations

@@ -11,7 +11,8 @@ parameter; everything else reads all rows. Rows whose crc32(doc_id as text) mod
 
 Defined results: a null or empty text is scored from its (zero) features; a null doc_id is not held out and never
 trains; repeated rows get equal scores; an empty table gives an empty table; without usable labels all scores are 0.5;
-repeated labels of a document count once if they agree and not at all if they differ; extra columns are carried along.
+repeated labels of a document count once if they agree and not at all if they differ; extra columns are carried along, but
+a column that has the name of the result (``quality_score``) is replaced.
 """
 
 from __future__ import annotations
@@ -147,7 +148,7 @@ def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, bu
     if not len(got) or got["y"].nunique() < 2:
         flat = 0.0 if not len(got) else (20.0 if got["y"].iloc[0] else -20.0)
         return Machine(flat, np.zeros(buckets + STATS, np.float32), np.zeros((buckets + STATS, 1), np.float32))
-    x = _dense([(np.asarray(a), np.asarray(b), np.asarray(c)) for a, b, c in zip(got["at"], got["values"], got["stats"], strict=True)], buckets)
+    x = _dense([(np.asarray(a, np.int64), np.asarray(b, np.float32), np.asarray(c, np.float32)) for a, b, c in zip(got["at"], got["values"], got["stats"], strict=True)], buckets)
     return fit(x, got["y"].to_numpy(np.float32), **how)
 
 

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from augspark.llm.text import let, words
+from augspark.llm.text import fresh, let, words
 
 WINDOW = 8
 SYMBOLS = r"[#*$%&|<>]"
@@ -69,7 +69,7 @@ def repeat_words(ws: Column) -> Column:
 def ledger(docs: DataFrame) -> DataFrame:
     """docs with the measurements n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words and ``failed``.
 
-    Columns of these names in docs are replaced.
+    Columns of these names in docs are replaced; all others are carried along.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     lines = F.filter(F.split(text, "\n"), lambda x: F.btrim(x, F.lit(SPACES)) != "")
@@ -78,24 +78,25 @@ def ledger(docs: DataFrame) -> DataFrame:
         let(lines, lambda x: F.struct(F.size(x).cast("long").alias("n_lines"), (F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"))).alias("l"),
         F.regexp_count(text, F.lit(SYMBOLS)).cast("long").alias("n_symbols"),
     )
-    out = docs.withColumn("_measured", measured).withColumns(
+    (own,) = fresh(docs.columns, "_measured")
+    out = docs.withColumn(own, measured).withColumns(
         {
-            "n_words": F.col("_measured.w.n_words"),
-            "word_chars": F.col("_measured.w.word_chars"),
-            "n_symbols": F.col("_measured.n_symbols"),
-            "n_lines": F.col("_measured.l.n_lines"),
-            "n_dup_lines": F.col("_measured.l.n_dup_lines"),
-            "n_repeat_words": F.col("_measured.w.n_repeat_words"),
+            "n_words": F.col(f"{own}.w.n_words"),
+            "word_chars": F.col(f"{own}.w.word_chars"),
+            "n_symbols": F.col(f"{own}.n_symbols"),
+            "n_lines": F.col(f"{own}.l.n_lines"),
+            "n_dup_lines": F.col(f"{own}.l.n_dup_lines"),
+            "n_repeat_words": F.col(f"{own}.w.n_repeat_words"),
         }
     )
     bits = F.lit(0).cast("long")
     for i, (_, fails) in enumerate(RULES):
         bits = bits.bitwiseOR(F.when(F.expr(fails), F.lit(1 << i)).otherwise(F.lit(0)).cast("long"))
-    return out.withColumn("failed", bits).drop("_measured")
+    return out.withColumn("failed", bits).drop(own)
 
 
 def apply_policy(ledger_rows: DataFrame, policy: str = "v1") -> DataFrame:
-    """Adds base_failed and kept, decided from the stored bits alone."""
+    """Adds base_failed and kept (columns of these names are replaced), decided from the stored bits alone."""
     hit = lambda names: F.col("failed").bitwiseAND(F.lit(mask(names)).cast("long")) != 0
     return ledger_rows.withColumn("base_failed", hit(BASE)).withColumn("kept", ~(hit(BASE) | hit(POLICIES[policy])))
 

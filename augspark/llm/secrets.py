@@ -1,15 +1,20 @@
 """Secret scans: fixed patterns, and character Markov models compared by log-likelihood ratio.
 
 Two first-order character models are trained from labelled samples, one of random strings and one of ordinary
-identifiers. A run of key characters outside the fixed patterns is reported (kind ``markov``) where random beats
-ordinary by more than a threshold per character, and where it mixes digits and letters.
+identifiers and words. Every run of ``MIN_RUN`` or more key characters that the fixed patterns leave, also a rest beside
+one of their spans, is scored by the mean log-likelihood ratio a character, and is reported (kind ``markov``) above a
+threshold that falls with its length: mean and deviation of ordinary samples' scores, the deviation over the root of the
+length.
 
 Defined results: a null or empty text has no spans; texts are scanned whole; spans count code points, end exclusive;
-repeated rows give the same spans; an empty table gives an empty table; extra columns are carried along.
+repeated rows give the same spans; an empty table gives an empty table; extra columns are carried along, but ``scan``
+replaces a column that has the name of its result and ``redact`` the text.
 """
 
 from __future__ import annotations
 
+import itertools
+import math
 import random
 import re
 from collections.abc import Iterable, Iterator
@@ -27,7 +32,10 @@ ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x2
 #: Greedy runs, so a minimum in the pattern equals dropping short matches.
 ACCESS = re.compile(r"AKIA[A-Z0-9]{14,}")
 HEX = re.compile(r"[0-9a-f]{16,}")
-RUN = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
+MIN_RUN = 16
+RUN = re.compile(r"[A-Za-z0-9+/_=-]{%d,}" % MIN_RUN)
+#: Deviations that a run must lie above ordinary samples.
+DEVIATIONS = 4.0
 SPANS = "array<struct<kind:string,start:int,end:int>>"
 
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
@@ -44,18 +52,34 @@ WORDS = (
 ).split()
 
 
+#: Ordinary words of other languages are joined from such beginnings, vowels and ends.
+ONSETS = "b c d f g h j k l m n p r s t v w z bl br ch cl cr dr fl fr gl gr kl kr pf ph pl pr qu sch sh sk sl sp st str th tr tw zw".split() + [""] * 6
+VOWELS = "a e i o u ai au ei eu ie oi ou aux eux eau ui y ee oo".split()
+ENDS = "n r s t l m d x ch ng nd rt st pf tz ck ss ll nn ns rs".split() + [""] * 14
+
+
 @dataclass(frozen=True)
 class MarkovPair:
-    """Per pair of neighbouring characters, log p(random) - log p(ordinary); first row: of the first character."""
+    """Per pair of neighbouring characters, log p(random) - log p(ordinary); first row: of the first character.
+
+    ``mean`` and ``deviation`` are of ordinary samples' scores, the deviation at length 1.
+    """
 
     ratio: np.ndarray
-    threshold: float
+    mean: float = 0.0
+    deviation: float = 0.0
 
     def score(self, text: str) -> float:
         """Mean log-likelihood ratio a character, above 0 where the random model fits better."""
         at = _CODE[np.frombuffer(text.encode("ascii", "replace"), dtype=np.uint8) & 127]
         return float((self.ratio[-1, at[0]] + self.ratio[at[:-1], at[1:]].sum()) / len(at))
 
+    def threshold(self, length: int, deviations: float = DEVIATIONS) -> float:
+        return max(0.0, self.mean + deviations * self.deviation / math.sqrt(length))
+
+    def secret(self, text: str) -> bool:
+        return self.score(text) > self.threshold(len(text))
+
 
 def default_samples(n: int = 4000, seed: int = 7) -> list[tuple[str, int]]:
     """Labelled samples made by rule: (string, 1 random or 0 ordinary identifier)."""
@@ -69,23 +93,29 @@ def default_samples(n: int = 4000, seed: int = 7) -> list[tuple[str, int]]:
         name = "_".join(parts) if style == 0 else "-".join(parts) if style == 1 else "/".join(parts) if style == 2 else parts[0] + "".join(p.title() for p in parts[1:])
         name = name.upper() if draw.random() < 0.15 else name
         out.append((name + (str(draw.randint(1, 2030)) if draw.random() < 0.3 else ""), 0))
+        made = "".join(draw.choice(ONSETS) + draw.choice(VOWELS) + draw.choice(ENDS) for _ in range(draw.randint(1, 6)))
+        made = made.upper() if i % 7 == 0 else made.capitalize() if i % 3 == 0 else made
+        out.append((made + (str(draw.randint(0, 2030)) if i % 10 == 0 else ""), 0))
     return out
 
 
-def train(samples: Iterable[tuple[str, int]] | None = None, smooth: float = 0.5, quantile: float = 0.998) -> MarkovPair:
-    """Fit both models; the threshold is the given quantile of the ordinary samples' scores, at least 0."""
-    samples = list(default_samples() if samples is None else samples)
+def train(samples: Iterable[tuple[str, int]] | None = None, smooth: float = 0.5) -> MarkovPair:
+    """Fit both models, and the spread of the ordinary samples' scores."""
+    samples = [(t, label) for t, label in (default_samples() if samples is None else samples) if t]
     size = len(ALPHABET) + 1
     counts = np.full((2, size + 1, size), smooth)
     for text, label in samples:
         at = _CODE[np.frombuffer(text.encode("ascii", "replace"), dtype=np.uint8) & 127]
-        if len(at):
-            counts[label, size, at[0]] += 1
-            np.add.at(counts[label], (at[:-1], at[1:]), 1)
+        counts[label, size, at[0]] += 1
+        np.add.at(counts[label], (at[:-1], at[1:]), 1)
     p = np.log(counts / counts.sum(axis=2, keepdims=True))
-    pair = MarkovPair(p[1] - p[0], 0.0)
-    ordinary = [pair.score(t) for t, label in samples if not label and t]
-    return MarkovPair(pair.ratio, max(0.0, float(np.quantile(ordinary, quantile))) if ordinary else 0.0)
+    pair = MarkovPair(p[1] - p[0])
+    ordinary = [(pair.score(t), len(t)) for t, label in samples if not label and len(t) >= MIN_RUN // 2]
+    if not ordinary:
+        return pair
+    scores, sizes = np.array(ordinary).T
+    mean = float(scores.mean())
+    return MarkovPair(pair.ratio, mean, float(((scores - mean) * np.sqrt(sizes)).std()))
 
 
 def find_spans(text: str, pair: MarkovPair) -> list[tuple[str, int, int]]:
@@ -93,15 +123,22 @@ def find_spans(text: str, pair: MarkovPair) -> list[tuple[str, int, int]]:
     found = [("assign", m.start(), m.end()) for m in ASSIGN.finditer(text) if m.end(2) - m.start(2) >= 12]
     found += [("access", m.start(), m.end()) for m in ACCESS.finditer(text)]
     found += [("hex", m.start(), m.end()) for m in HEX.finditer(text)]
-    more = []
+    taken: list[list[int]] = []  # base spans merged where they touch
+    for a, b in sorted((a, b) for _, a, b in found):
+        if taken and a <= taken[-1][1]:
+            taken[-1][1] = max(taken[-1][1], b)
+        else:
+            taken.append([a, b])
+    more, n = [], 0
     for m in RUN.finditer(text):
-        run = m[0]
-        if not any(c.isdigit() for c in run) or not any(c.isalpha() for c in run):
-            continue
-        if any(a < m.end() and m.start() < b for _, a, b in found):
-            continue
-        if pair.score(run) > pair.threshold:
-            more.append(("markov", m.start(), m.end()))
+        at = m.start()
+        while n < len(taken) and taken[n][1] <= at:
+            n += 1
+        inside = itertools.takewhile(lambda t: t[0] < m.end(), itertools.islice(taken, n, None))
+        for a, b in [*inside, [m.end(), m.end()]]:  # what lies before each span, and what follows the last
+            if a - at >= MIN_RUN and pair.secret(text[at:a]):
+                more.append(("markov", at, a))
+            at = max(at, b)
     return sorted(found + more, key=lambda x: (x[1], KINDS.index(x[0]), x[2]))
 
 

@@ -12,7 +12,8 @@ only its residents in memory; visitors stream past in batches. More parts make s
 
 Defined results: a null, empty or blank text has fingerprint zero and is linked like any other; fewer than three words
 are one shingle; repeated rows share fingerprint and component; a null doc_id never names a component unless all of its
-doc_ids are null; an empty table gives an empty table; extra columns are not read.
+doc_ids are null; an empty table gives an empty table; extra columns, whatever their names, are carried along by
+``keep_one`` and not read otherwise.
 """
 
 from __future__ import annotations
@@ -26,8 +27,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from augspark.cluster import materialize
-from augspark.llm.components import connected
-from augspark.llm.text import small_batches
+from augspark.llm.components import connected, join_groups
+from augspark.llm.text import column, fresh, small_batches
 
 RADIUS = 2
 SHINGLE = 3
@@ -211,13 +212,23 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     """One row per row of docs: doc_id, fp (long), root (a fingerprint that names the component) and component_id, the
     smallest doc_id reachable over links."""
     prints = materialize(fingerprints(docs), "fingerprints")
-    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "distinct-fingerprints")
+    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("n")), "distinct-fingerprints")
     found = materialize(links(distinct.select("fp"), radius, parts_for(distinct.count())), "links")
     roots = connected(found)
-    named = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
-    lowest = named.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    members = named.join(lowest, "root").select(F.col("fp").alias("_fp"), "root", "component_id")
-    return prints.join(members, F.col("fp") == F.col("_fp")).select("doc_id", "fp", "root", "component_id")
+    return members(prints, distinct, roots)
+
+
+def members(prints: DataFrame, distinct: DataFrame, roots: DataFrame) -> DataFrame:
+    """prints (doc_id, fp), distinct (fp, first_id, n) and roots (node, root) -> (doc_id, fp, root, component_id).
+
+    Both a component of very many fingerprints and a fingerprint of very many copies are dealt over tasks.
+    """
+    named = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "first_id", "n", F.coalesce("root", "fp").alias("root"))
+    named = materialize(named, "named-fingerprints")
+    count, rows = named.agg(F.count("*"), F.sum("n")).first()
+    lowest = named.groupBy("root").agg(F.count("*").alias("size"), F.min("first_id").alias("component_id"))
+    joined = join_groups(named, "root", lowest, "size", count, F.col("fp"))
+    return join_groups(prints.select("doc_id", "fp"), "fp", joined.select("fp", "n", "root", "component_id"), "n", rows or 0, F.coalesce("doc_id", F.monotonically_increasing_id()))
 
 
 def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
@@ -233,7 +244,8 @@ def keep_first(docs: DataFrame, found: DataFrame, printed: Column) -> DataFrame:
     """``keep_one`` for components (doc_id, fp, root, component_id) of any kind; printed gives the fp of a row."""
     if found.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1 or doc_id is null").isEmpty():
         gone = found.filter("doc_id != component_id").select("doc_id")
-        return docs.join(gone, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
-    first = found.select(F.col("fp").alias("_fp_of"), F.col("root").alias("_root"), F.col("component_id").alias("_first")).distinct()
-    known = docs.withColumn("_fp", printed).join(first, F.col("_fp") == F.col("_fp_of"))
-    return known.filter(F.col("doc_id").eqNullSafe(F.col("_first"))).dropDuplicates(["_root"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+        return docs.join(gone, "doc_id", "left_anti").select(*[column(c) for c in docs.columns])
+    fp, of, root, one = fresh(docs.columns, "_fp", "_fp_of", "_root", "_first")
+    first = found.select(F.col("fp").alias(of), F.col("root").alias(root), F.col("component_id").alias(one)).distinct()
+    known = docs.withColumn(fp, printed).join(first, F.col(fp) == F.col(of))
+    return known.filter(F.col("doc_id").eqNullSafe(F.col(one))).dropDuplicates([root]).select(*[column(c) for c in docs.columns])

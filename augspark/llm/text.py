@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable
+
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,8 +22,28 @@ def let(value: Column, body) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
+def fresh(taken: Iterable[str], *names: str) -> list[str]:
+    """The names, each with as many underscores in front as keep it apart from those taken, whatever their case."""
+    known, out = {t.lower() for t in taken}, []
+    for name in names:
+        while name.lower() in known:
+            name = "_" + name
+        known.add(name.lower())
+        out.append(name)
+    return out
+
+
+def column(name: str) -> Column:
+    """A column by its literal name, dots and back-ticks included."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
 def small_batches(spark: SparkSession, rows: int = 1000) -> None:
-    """Bound what a Python worker holds of long texts at once: a run-time setting of rows in an Arrow batch."""
+    """Lower the rows of an Arrow batch, a run-time setting of the session that stays lowered.
+
+    Spark itself bounds a batch's bytes (spark.sql.execution.arrow.maxBytesPerBatch); fewer rows bound what a Python
+    worker keeps of results while a batch runs.
+    """
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if int(spark.conf.get(key)) > rows:
         spark.conf.set(key, rows)

@@ -8,18 +8,20 @@ on find the wanted share of their true neighbours inside that half.
 
 Leaves are compared exactly, in bins of bounded size: small neighbouring leaves share a bin, and the vectors of a leaf
 that is larger than a bin are dealt into several by hash, so a leaf that holds a third of all rows becomes many tasks. A
-query goes once to each bin with leaves it visits, and each bin gives at most k rows a query. Scores are Euclidean distances in double precision on
+query goes once to each bin with leaves it visits, and each bin gives at most k rows a query. A task holds the vectors of
+one bin and streams the queries past; above DECK_QUERIES queries in all, each bin is repeated and its queries dealt out. Scores are Euclidean distances in double precision on
 the original vectors; ties go to the smaller vec_id.
 
 Defined results: null or empty vectors, zero vectors, vectors holding null or non-finite components, and vectors whose
 length differs from most of the sample's take no part, as query or candidate; a query's own vec_id is never returned,
-repeated rows of another vec_id each count as a candidate row once per distinct (vec_id, vector); with fewer than k
-candidates all are returned; an empty table gives no rows; extra columns are not read.
+another vec_id is returned once a query, by the nearest of the vectors that rows give it; with fewer than k candidates
+all are returned; an empty table gives no rows; extra columns are not read.
 """
 
 from __future__ import annotations
 
 import heapq
+import itertools
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -31,14 +33,15 @@ from pyspark.sql import functions as F
 from augspark.cluster import materialize
 
 K = 10
-SAMPLE_ROWS = 12_000
-BRANCH = 32
-LEAF_ROWS = 64
+SAMPLE_ROWS = 24_000
+BRANCH = 512
+LEAF_ROWS = 96
 CALIBRATION_QUERIES = 300
 #: Recall aimed at on the sample, above what is promised for the table.
-TARGET = 0.95
-#: Vectors in one bin.
+TARGET = 0.92
+#: Vectors in one bin, and queries that a task is to answer from it.
 BIN_ROWS = 4_000
+DECK_QUERIES = 100_000
 
 
 def usable(embedding):
@@ -181,27 +184,79 @@ def bins(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return first, parts
 
 
-def search(table: DataFrame, is_query, k: int = K, tree: Tree | None = None, sample_rows: int = SAMPLE_ROWS, **how) -> DataFrame:
-    """(query_id, rank, vec_id, score): the k nearest found for each row that ``is_query`` (a Column on vec_id) holds for."""
-    spark = table.sparkSession
-    empty = spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+def _compare(dim: int, leaves: int, k: int):
+    """Rows (place, ask, id, vector, leaf, wanted) sorted by place, vectors of a bin first -> (query_id, vec_id, score).
+
+    A task holds the vectors of one bin; queries stream past in batches, however many ask that bin.
+    """
+    nothing = pd.DataFrame({"query_id": [], "vec_id": [], "score": []}).astype({"query_id": "int64", "vec_id": "int64", "score": "float64"})
+
+    def answer(x, ids, leaf, asks: pd.DataFrame) -> Iterator[pd.DataFrame]:
+        for query_id, q, wanted in zip(asks["id"].tolist(), asks["vector"], asks["wanted"], strict=True):
+            open_leaf = np.zeros(leaves, bool)
+            open_leaf[np.asarray(wanted)] = True
+            at = np.flatnonzero(open_leaf[leaf] & (ids != query_id))
+            if len(at):
+                far = np.sqrt(((x[at] - np.asarray(q)) ** 2).sum(axis=1))
+                last = min(k, len(far)) - 1
+                best = np.flatnonzero(far <= np.partition(far, last)[last])
+                best = best[np.lexsort((ids[at[best]], far[best]))][:k]
+                yield pd.DataFrame({"query_id": query_id, "vec_id": ids[at[best]], "score": far[best]})
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        here, waiting, held = None, [], None
+        for batch in batches:
+            places, asks = batch["place"].to_numpy(), batch["ask"].to_numpy()
+            edges = [0, *(np.flatnonzero((places[1:] != places[:-1]) | (asks[1:] != asks[:-1])) + 1).tolist(), len(batch)]
+            out = []
+            for a, b in itertools.pairwise(edges):
+                part = batch.iloc[a:b]
+                if a == b:
+                    continue
+                if places[a] != here:
+                    here, waiting, held = places[a], [], None
+                if not asks[a]:
+                    waiting.append((_stack(part["vector"], dim), part["id"].to_numpy(), part["leaf"].to_numpy()))
+                elif waiting:
+                    held = held or tuple(np.concatenate([w[i] for w in waiting]) for i in range(3))
+                    out += answer(*held, part)
+            yield pd.concat(out) if out else nothing
+
+    return run
+
+
+def index(table: DataFrame, k: int = K, tree: Tree | None = None, sample_rows: int = SAMPLE_ROWS, **how) -> tuple[Tree, DataFrame] | None:
+    """The tree, and every usable vector with its leaf; None without usable vectors."""
     whole = table.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
     vectors = whole.filter(F.col("vec_id").isNotNull() & usable(F.col("embedding")))
     tree = tree or fit_tree(vectors, k, sample_rows, **how)
     if tree is None:
-        return empty
+        return None
     dim = tree.centres[0].shape[1]
-    vectors = vectors.filter(F.size("embedding") == dim)
 
     @F.pandas_udf("int")
     def leaf_of(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         for batch in batches:
             yield pd.Series(tree.assign(_stack(batch, dim)), dtype="int32")
 
-    indexed = materialize(vectors.dropDuplicates(["vec_id", "embedding"]).withColumn("leaf", leaf_of("embedding")), "vector-index")
-    held = {r["leaf"]: r["n"] for r in indexed.groupBy("leaf").agg(F.count("*").alias("n")).collect()}  # a row a leaf: bounded by the sample
-    rows = np.array([held.get(i, 0) for i in range(tree.leaves)])
-    first, parts = bins(rows)
+    own = vectors.filter(F.size("embedding") == dim).dropDuplicates(["vec_id", "embedding"])
+    return tree, materialize(own.withColumn("leaf", leaf_of("embedding")), "vector-index")
+
+
+def leaf_rows(tree: Tree, indexed: DataFrame) -> np.ndarray:
+    """Vectors a leaf; a row a leaf reaches the driver, which the sample bounds."""
+    held = {r["leaf"]: r["n"] for r in indexed.groupBy("leaf").agg(F.count("*").alias("n")).collect()}
+    return np.array([held.get(i, 0) for i in range(tree.leaves)])
+
+
+def search(table: DataFrame, is_query, k: int = K, tree: Tree | None = None, sample_rows: int = SAMPLE_ROWS, **how) -> DataFrame:
+    """(query_id, rank, vec_id, score): the k nearest found for each row that ``is_query`` (a Column on vec_id) holds for."""
+    found = index(table, k, tree, sample_rows, **how)
+    if found is None:
+        return table.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    tree, indexed = found
+    rows = leaf_rows(tree, indexed)
+    dim, (first, parts) = tree.centres[0].shape[1], bins(rows)
 
     @F.pandas_udf("array<struct<bin:int,leaves:array<int>>>")
     def bins_for(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
@@ -220,33 +275,41 @@ def search(table: DataFrame, is_query, k: int = K, tree: Tree | None = None, sam
         for leaf, h in batches:
             yield pd.Series(first[leaf] + h.to_numpy() % parts[leaf], dtype="int32")
 
-    dealt = indexed.withColumn("bin", bin_of("leaf", F.xxhash64("vec_id")))
-    asked = indexed.filter(is_query(F.col("vec_id"))).select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("query"))
-    sent = asked.withColumn("_to", F.explode(bins_for("query"))).select("query_id", "query", "_to.bin", "_to.leaves")
-
-    def compare(own: pd.DataFrame, asks: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        if len(own) and len(asks):
-            x, ids, leaf = _stack(own["embedding"], dim), own["vec_id"].to_numpy(), own["leaf"].to_numpy()
-            for query_id, q, leaves in zip(asks["query_id"], asks["query"], asks["leaves"], strict=True):
-                wanted = np.zeros(len(rows), bool)
-                wanted[np.asarray(leaves)] = True
-                at = np.flatnonzero(wanted[leaf] & (ids != query_id))
-                if not len(at):
-                    continue
-                far = np.sqrt(((x[at] - np.asarray(q)) ** 2).sum(axis=1))
-                last = min(k, len(far)) - 1
-                best = np.flatnonzero(far <= np.partition(far, last)[last])
-                best = best[np.lexsort((ids[at[best]], far[best]))][:k]
-                out.append(pd.DataFrame({"query_id": query_id, "vec_id": ids[at[best]], "score": far[best]}))
-        return pd.concat(out) if out else pd.DataFrame({"query_id": [], "vec_id": [], "score": []}).astype({"query_id": "int64", "vec_id": "int64", "score": "float64"})
-
-    found = dealt.groupBy("bin").cogroup(sent.groupBy("bin")).applyInPandas(compare, "query_id long, vec_id long, score double")
-    best = found.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))
+    asked = indexed.filter(is_query(F.col("vec_id")))
+    decks = max(1, -(-asked.count() // DECK_QUERIES))  # a bin meets its queries in so many tasks
+    place = lambda b, deck: (b * F.lit(decks) + deck).cast("long").alias("place")
+    every = F.explode(F.sequence(F.lit(0), F.lit(decks - 1)))
+    dealt = indexed.select(bin_of("leaf", F.xxhash64("vec_id")).alias("bin"), "vec_id", "embedding", "leaf", every.alias("deck"))
+    dealt = dealt.select(place(F.col("bin"), F.col("deck")), F.lit(False).alias("ask"), F.col("vec_id").alias("id"), F.col("embedding").alias("vector"), "leaf", F.lit(None).cast("array<int>").alias("wanted"))
+    sent = asked.withColumn("_to", F.explode(bins_for("embedding")))
+    sent = sent.select(place(F.col("_to.bin"), F.pmod(F.xxhash64("vec_id", "embedding"), F.lit(decks))), F.lit(True).alias("ask"), F.col("vec_id").alias("id"), F.col("embedding").alias("vector"), "leaf", F.col("_to.leaves").alias("wanted"))
+    laid = dealt.unionByName(sent).repartition("place").sortWithinPartitions("place", "ask")
+    near = laid.mapInPandas(_compare(dim, tree.leaves, k), "query_id long, vec_id long, score double")
+    best = near.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))
     order = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return best.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
+def opened(table: DataFrame, is_query, k: int = K, **how) -> DataFrame:
+    """(vectors, queries, leaves, width, opened): the share of vectors that a query's leaves hold, over all queries."""
+    spark, empty = table.sparkSession, "vectors long, queries long, leaves int, width int, opened double"
+    found = index(table, k, **how)
+    if found is None:
+        return spark.createDataFrame([], empty)
+    tree, indexed = found
+    rows = leaf_rows(tree, indexed)
+    dim = tree.centres[0].shape[1]
+
+    @F.pandas_udf("long")
+    def compared(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for batch in batches:
+            yield pd.Series([int(rows[tree.visit(q, rows, k + 1)].sum()) for q in _stack(batch, dim)], dtype="int64")
+
+    asked = indexed.filter(is_query(F.col("vec_id"))).agg(F.count("*").alias("queries"), F.avg(compared("embedding")).alias("mean"))
+    n = int(rows.sum())
+    return asked.select(F.lit(n).cast("long").alias("vectors"), "queries", F.lit(tree.leaves).alias("leaves"), F.lit(tree.width).alias("width"), (F.col("mean") / max(1, n)).alias("opened"))
+
+
 def exact(table: DataFrame, is_query, k: int = K) -> DataFrame:
     """The same by brute force in SQL functions, for measuring recall on small tables: queries are broadcast in one batch."""
     v = table.filter(F.col("vec_id").isNotNull() & usable(F.col("embedding"))).select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).distinct()

@@ -6,8 +6,11 @@ store Spark reaches and a lost executor only costs a retried task. Files are as
 
 Reading: ``spark.read.format("warc")``. Files are planned into partitions by size on the driver; inside a partition
 headers are parsed first, and a record whose headers fail the predicates (record types, header equalities; from options
-or pushed down by Spark) is skipped by its Content-Length without touching its payload. Payload bytes are decoded only
-if the payload or html column is asked for by the option ``payload``.
+or pushed down by Spark) is skipped by its Content-Length without touching its payload. The option ``payload`` says what
+is done with the others: ``skip`` passes over them too, ``digest`` hashes and counts them in pieces as they stream past
+(read_digest, read_length), ``bytes`` does that and returns them. A gzip file is one stream, read by one task.
+
+``verified`` takes types and references from headers alone, and length and digest from the payloads of the responses.
 
 Defined results: null html is an empty payload; an empty table writes no record and reads back as an empty table (also
 if Spark wrote no file); repeated rows write repeated records, all as response or all pointing to the smallest page_id;
@@ -16,7 +19,9 @@ control characters in a url are percent-encoded in its header; a null url is an
 
 from __future__ import annotations
 
+import base64
 import gzip
+import hashlib
 import io
 import json
 from collections.abc import Iterator
@@ -25,14 +30,15 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, In, InputPartition
 
-from augspark.cluster import list_files
+from augspark.cluster import list_files, materialize
+from augspark.llm.components import join_groups
 
 BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 DATE = "2024-01-01T00:00:00Z"
 END = "\r\n\r\n"
 URN = "urn:page:"
 LENGTH_HEADER = "X-Payload-Length"
-SCHEMA = "record_id string, record_type string, target_uri string, payload_digest string, refers_to string, payload_length long, content_length long, headers map<string,string>, payload binary"
+SCHEMA = "record_id string, record_type string, target_uri string, payload_digest string, refers_to string, payload_length long, content_length long, headers map<string,string>, read_digest string, read_length long, payload binary"
 
 
 def base32_sha1(data: Column) -> Column:
@@ -100,10 +106,38 @@ def _open(uri: str):
     return io.BufferedReader(gzip.GzipFile(fileobj=raw), 1 << 20) if uri.endswith(".gz") else io.BufferedReader(raw, 1 << 20)
 
 
-def read_records(stream, wanted=None, payload: bool = True) -> Iterator[tuple[dict[str, str], bytes | None]]:
-    """(headers, payload) of each record whose headers ``wanted`` accepts; names in lower case.
+SKIP, DIGEST, BYTES = "skip", "digest", "bytes"
+PIECE = 1 << 20
+
+
+def _blocks(stream, left: int) -> Iterator[bytes]:
+    """A record's block in pieces, read to its end."""
+    while left:
+        piece = stream.read(min(left, PIECE))
+        if not piece:
+            raise EOFError("a record ends before its Content-Length")
+        left -= len(piece)
+        yield piece
+
+
+def _body(pieces: Iterator[bytes], http: bool) -> Iterator[bytes]:
+    """What follows the HTTP headers of an http block, else the block."""
+    held = b""
+    for piece in pieces:
+        if http:
+            held += piece
+            _, found, rest = held.partition(b"\r\n\r\n")
+            if found:
+                http, piece = False, rest
+            else:
+                continue
+        yield piece
+
+
+def read_records(stream, wanted=None, payload: str = BYTES) -> Iterator[tuple[dict[str, str], str | None, int | None, bytes | None]]:
+    """(headers, digest, length, payload) of each record whose headers ``wanted`` accepts; names in lower case.
 
-    The payload is what follows the HTTP headers of an http block, else the block.
+    Digest (bare upper-case base32 SHA-1) and length are of the payload as read, null where it is skipped.
     """
     while line := stream.readline():
         if not line.strip():
@@ -114,21 +148,21 @@ def read_records(stream, wanted=None, payload: bool = True) -> Iterator[tuple[di
         while (line := stream.readline()) not in (b"\r\n", b"\n", b""):
             name, _, value = line.decode("utf-8", "replace").partition(":")
             headers[name.strip().lower()] = value.strip()
-        left = int(headers.get("content-length", 0))
-        if payload and (wanted is None or wanted(headers)):
-            block = stream.read(left)
-            if len(block) < left:
-                raise EOFError("a record ends before its Content-Length")
-            if headers.get("content-type", "").startswith("application/http"):
-                block = block.partition(b"\r\n\r\n")[2]
-            yield headers, block
+        block = _blocks(stream, int(headers.get("content-length", 0)))
+        take = wanted is None or wanted(headers)
+        if not take or payload == SKIP:
+            for _ in block:
+                pass
+            if take:
+                yield headers, None, None, None
             continue
-        while left:
-            left -= (got := len(stream.read(min(left, 1 << 20))))
-            if not got:
-                raise EOFError("a record ends before its Content-Length")
-        if wanted is None or wanted(headers):
-            yield headers, None
+        sha, size, kept = hashlib.sha1(usedforsecurity=False), 0, []
+        for piece in _body(block, headers.get("content-type", "").startswith("application/http")):
+            sha.update(piece)
+            size += len(piece)
+            if payload == BYTES:
+                kept.append(piece)
+        yield headers, base64.b32encode(sha.digest()).decode(), size, b"".join(kept) if payload == BYTES else None
 
 
 def _urn(value: str | None) -> str | None:
@@ -143,7 +177,7 @@ class WarcReader(DataSourceReader):
         types = options.get("types")
         self.types = set(types.split(",")) if types else None
         self.equal = {k.lower(): v for k, v in json.loads(options.get("headers", "{}")).items()}
-        self.payload = options.get("payload", "true").lower() == "true"
+        self.payload = options.get("payload", BYTES)
         self.size = int(options.get("partitionbytes", options.get("partitionBytes", str(128 << 20))))
 
     def pushFilters(self, filters):
@@ -174,7 +208,7 @@ class WarcReader(DataSourceReader):
     def read(self, partition):
         for uri in partition.uris:
             with _open(uri) as stream:
-                for h, payload in read_records(stream, self._wanted, self.payload):
+                for h, digest, size, payload in read_records(stream, self._wanted, self.payload):
                     full = h.get(LENGTH_HEADER.lower())
                     yield (
                         _urn(h.get("warc-record-id")),
@@ -185,6 +219,8 @@ class WarcReader(DataSourceReader):
                         int(full) if full else None,
                         int(h.get("content-length", 0)),
                         h,
+                        digest,
+                        size,
                         payload,
                     )
 
@@ -201,16 +237,38 @@ class WarcSource(DataSource):
         return WarcReader(self.options)
 
 
-def read_archives(spark: SparkSession, path: str, types: str | None = None, headers: dict[str, str] | None = None, payload: bool = True, partition_bytes: int = 128 << 20) -> DataFrame:
-    """The records of all archives directly below a folder, with the columns of SCHEMA."""
+def read_archives(spark: SparkSession, path: str, types: str | None = None, headers: dict[str, str] | None = None, payload: str = BYTES, partition_bytes: int | None = None) -> DataFrame:
+    """The records of all archives directly below a folder, with the columns of SCHEMA.
+
+    Files are packed into partitions of 128 MB, or of less where that would leave cores of the cluster idle.
+    """
     spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")  # a run-time setting that readers with pushFilters need
     spark.dataSource.register(WarcSource)
     files = [x for x in list_files(spark, path) if x[1]]
-    read = spark.read.format("warc").option("files", json.dumps(files)).option("payload", str(payload).lower()).option("partitionBytes", str(partition_bytes))
+    if partition_bytes is None:
+        partition_bytes = min(128 << 20, max(1, sum(n for _, n in files) // (2 * spark.sparkContext.defaultParallelism)))
+    read = spark.read.format("warc").option("files", json.dumps(files)).option("payload", payload).option("partitionBytes", str(partition_bytes))
     read = read.option("types", types) if types else read
     return (read.option("headers", json.dumps(headers)) if headers else read).load()
 
 
+def verified(spark: SparkSession, path: str) -> DataFrame:
+    """(record_id, record_type, refers_to, payload_length, payload_digest) of all records.
+
+    One read takes headers only. A second is restricted to responses, by a filter that Spark pushes into the reader, and
+    hashes their payloads: length and digest are what was read. A revisit has those of the response it refers to, and nulls
+    where that holds no payload of the revisit's stated digest; so has a response whose payload differs from its own.
+    """
+    meta = read_archives(spark, path, payload=SKIP).select("record_id", "record_type", "refers_to", F.col("payload_digest").alias("stated"), F.concat_ws(" ", F.coalesce("refers_to", "record_id"), "payload_digest").alias("body"))
+    meta = materialize(meta, "warc-headers")
+    bodies = read_archives(spark, path, payload=DIGEST).filter("record_type = 'response'")
+    bodies = bodies.select(F.concat_ws(" ", "record_id", "read_digest").alias("body"), "read_length", "read_digest").distinct()
+    counts = meta.groupBy("body").agg(F.count("*").alias("size"))
+    groups = counts.join(bodies.withColumnRenamed("body", "_body"), F.col("body") == F.col("_body"), "left").select("body", "size", F.col("read_length").alias("payload_length"), F.col("read_digest").alias("payload_digest"))
+    found = join_groups(meta, "body", groups, "size", meta.count(), F.col("record_id"))
+    return found.select("record_id", "record_type", "refers_to", "payload_length", "payload_digest")
+
+
 def page_of(urn: Column) -> Column:
     """The page number in a record id of this writer, null for others."""
     return F.when(urn.startswith(URN), F.substring(urn, len(URN) + 1, 30)).try_cast("long")
