@@ -41,9 +41,9 @@ LENGTH_HEADER = "X-Payload-Length"
 SCHEMA = "record_id string, record_type string, target_uri string, payload_digest string, refers_to string, payload_length long, content_length long, headers map<string,string>, read_digest string, read_length long, payload binary"
 
 
-def base32_sha1(data: Column) -> Column:
-    """Upper-case base32 of a SHA-1, by SQL functions: each 5 hex digits are 4 letters."""
-    hexed, letters = F.sha1(data), []
+def base32_of(hexed: Column) -> Column:
+    """Upper-case base32 of 40 hex digits, by SQL functions: each 5 hex digits are 4 letters."""
+    letters = []
     for group in range(8):
         number = F.conv(F.substring(hexed, 5 * group + 1, 5), 16, 10).cast("int")
         letters += [F.substring(F.lit(BASE32), F.shiftright(number, shift).bitwiseAND(F.lit(31)) + 1, F.lit(1)) for shift in (15, 10, 5, 0)]
@@ -53,14 +53,17 @@ def base32_sha1(data: Column) -> Column:
 def plan_records(pages: DataFrame, min_revisit_bytes: int = 0) -> DataFrame:
     """(page_id, url, html, payload_bytes, payload_digest, refers_to); refers_to is null for responses.
 
-    Each payload's smallest page_id is aggregated from (digest, page_id) alone, with partial minima.
+    Each repeated payload's smallest page_id is aggregated from (digest, page_id) alone, with partial minima, and written.
+    Pages meet that table, so payloads are shuffled only where there are too many repeated ones to broadcast it.
     """
-    named = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"))
-    digested = named.withColumn("payload_digest", base32_sha1(F.col("html").cast("binary"))).withColumn("payload_bytes", F.octet_length("html").cast("long"))
-    first = digested.groupBy("payload_digest").agg(F.min("page_id").alias("first_id")).withColumnRenamed("payload_digest", "_digest")
-    joined = digested.join(first, F.col("payload_digest") == F.col("_digest"))
-    again = (F.col("payload_bytes") >= min_revisit_bytes) & (~F.col("page_id").eqNullSafe(F.col("first_id")))
-    return joined.withColumn("refers_to", F.when(again, F.col("first_id"))).drop("_digest", "first_id")
+    hexed = F.sha1(F.coalesce("html", F.lit("")).cast("binary"))
+    again = pages.select(hexed.alias("_sha"), "page_id").groupBy("_sha").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n")).filter("n > 1")
+    first = materialize(again.select("_sha", "first_id"), "repeated-payloads")
+    named = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"), hexed.alias("payload_sha"))
+    joined = named.join(first, F.col("payload_sha") == F.col("_sha"), "left")
+    size = F.octet_length("html").cast("long")
+    revisit = (size >= min_revisit_bytes) & F.col("first_id").isNotNull() & (~F.col("page_id").eqNullSafe(F.col("first_id")))
+    return joined.select("page_id", "url", "html", size.alias("payload_bytes"), base32_of(F.col("payload_sha")).alias("payload_digest"), F.when(revisit, F.col("first_id")).alias("refers_to"))
 
 
 def record_text(date: str = DATE) -> Column:
