@@ -35,7 +35,8 @@ def join_groups(rows: DataFrame, key: str, groups: DataFrame, size: str, total:
     hk, ck, cs, hot_as, cold_as, salt = fresh([*rows.columns, *groups.columns], "_hk", "_ck", "_cs", "_hot", "_cold", "_salt")
     own = F.struct(*[column(c) for c in more])
     hot = groups.filter(column(size) > bar).select(column(key).alias(hk), own.alias(hot_as))
-    cold = groups.filter(column(size) <= bar).select(column(key).alias(ck), F.lit(-1).alias(cs), own.alias(cold_as))
+    no_salt = (F.pmod(F.xxhash64(column(key)), F.lit(1)) - 1).cast("int")  # always -1; as a literal it would leave the join's keys
+    cold = groups.filter(column(size) <= bar).select(column(key).alias(ck), no_salt.alias(cs), own.alias(cold_as))
     marked = rows.join(F.broadcast(hot), F.col(key) == F.col(hk), "left")
     dealt = F.when(F.col(hk).isNull(), F.lit(-1)).otherwise(F.pmod(F.xxhash64(spread), F.lit(salts)).cast("int"))
     met = marked.withColumn(salt, dealt).join(cold, (F.col(key) == F.col(ck)) & (F.col(salt) == F.col(cs)), "left")
