@@ -14,16 +14,45 @@ from augspark.ring import gram
 ADDED = -1
 
 
-def score(folds: DataFrame, target: int, by: str = "dataset", lam: float = 1e-6) -> DataFrame:
-    """(by, fold, g) -> (by, cv_r2, theta): mean R² over folds, and parameters on all rows. One small task per candidate group."""
+def _scored(target: int, lam: float, held: bool):
+    """A batch of candidates, each with all its folds, solved in stacks of equal shape."""
 
-    def each(rows: pd.DataFrame) -> pd.DataFrame:
-        grams = {int(f): solve.matrix(g["c"], g["s"], g["q"]) for f, g in zip(rows["fold"], rows["g"], strict=True)}
-        whole = sum(grams.values())
-        got = [solve.r2(g, target, solve.ridge(whole - g, target, lam)) for f, g in sorted(grams.items()) if f != ADDED]
-        return pd.DataFrame({by: [rows[by].iloc[0]], "cv_r2": [float(np.nanmean(got)) if not np.isnan(got).all() else None], "theta": [solve.ridge(whole, target, lam)]})
+    @F.pandas_udf("struct<cv_r2:double,theta:array<double>>")
+    def run(fold: pd.Series, c: pd.Series, s: pd.Series, q: pd.Series) -> pd.DataFrame:
+        best, thetas = np.full(len(fold), np.nan), np.empty(len(fold), object)
+        shapes: dict[tuple[int, int], list[int]] = {}
+        for i, (f, x) in enumerate(zip(fold, s, strict=True)):
+            shapes.setdefault((len(f), len(x)), []).append(i)
+        for (n, width), at in shapes.items():
+            take = lambda column: np.stack([column.iloc[i] for i in at]).reshape(len(at) * n, -1)
+            g = solve.matrices(take(c)[:, 0], take(s), take(q))
+            m = width // n + 1
+            whole = g.reshape(len(at), n, m, m).sum(axis=1)
+            sides = np.repeat(whole, n, axis=0) - g
+            kept = take(fold)[:, 0] != ADDED
+            got = np.full(len(g), np.nan)
+            got[kept] = solve.r2s(g[kept], target, solve.ridges(sides[kept], target, lam))
+            got = got.reshape(len(at), n)
+            known = ~np.isnan(got)
+            best[at] = np.where(known.any(axis=1), np.nansum(got, axis=1) / np.maximum(1, known.sum(axis=1)), np.nan)
+            fitted = whole - (g * kept[:, None, None]).reshape(len(at), n, m, m).sum(axis=1) if held else whole
+            for i, theta in zip(at, solve.ridges(fitted, target, lam), strict=True):
+                thetas[i] = theta
+        return pd.DataFrame({"cv_r2": best, "theta": thetas})
 
-    return folds.groupBy(by).applyInPandas(each, f"{by} string, cv_r2 double, theta array<double>")
+    return run
+
+
+def score(folds: DataFrame, target: int, by: str = "dataset", lam: float = 1e-6, held: bool = False) -> DataFrame:
+    """(by, fold, g) -> (by, cv_r2, theta): mean R² over folds, and parameters on all rows (held: on added rows only).
+
+    A candidate's few folds are gathered into one row; a worker solves a whole batch of candidates at once.
+    """
+    rows = F.array_sort(F.collect_list(F.struct("fold", "g")))
+    each = folds.groupBy(by).agg(rows.alias("f"))
+    part = lambda of: F.transform("f", of)
+    found = _scored(target, lam, held)(part(lambda x: x["fold"]), part(lambda x: x["g"]["c"]), F.flatten(part(lambda x: x["g"]["s"])), F.flatten(part(lambda x: x["g"]["q"])))
+    return each.select(by, found.alias("r")).select(by, F.nanvl("r.cv_r2", F.lit(None).cast("double")).alias("cv_r2"), "r.theta")
 
 
 def validate(train: DataFrame, held: DataFrame, target: int, lam: float = 0.0) -> DataFrame:

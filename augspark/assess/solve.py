@@ -8,61 +8,83 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 
-def matrix(c: float, s, q) -> np.ndarray:
-    """The symmetric matrix of pair sums with the constant 1 as first feature."""
-    m = len(s)
-    out = np.empty((m + 1, m + 1))
-    out[0, 0], out[0, 1:], out[1:, 0] = c, s, s
-    upper = np.triu_indices(m)
-    inner = np.empty((m, m))
-    inner[upper] = q
-    inner.T[upper] = q
-    out[1:, 1:] = inner
+def matrices(c, s, q) -> np.ndarray:
+    """(n, m + 1, m + 1): of each of n elements the symmetric matrix of pair sums, with the constant 1 as first feature."""
+    s, q = np.asarray(s, float), np.asarray(q, float)
+    n, m = s.shape
+    out, (rows, cols) = np.empty((n, m + 1, m + 1)), np.triu_indices(m)
+    out[:, 0, 0], out[:, 0, 1:], out[:, 1:, 0] = c, s, s
+    out[:, rows + 1, cols + 1] = q
+    out[:, cols + 1, rows + 1] = q
     return out
 
 
-def ridge(g: np.ndarray, target: int, lam: float = 0.0) -> np.ndarray:
-    """(intercept, weights) from a matrix; features are centred and scaled first, so the solve is well conditioned and the
-    penalty applies to the original weights but not to the intercept. Constant features get weight 0."""
-    x = [i for i in range(1, len(g)) if i != target + 1]
-    n = g[0, 0]
-    theta = np.zeros(len(x) + 1)
-    if n <= 0:
-        return theta
-    mean = g[0, 1:] / n
-    cov = g[1:, 1:] - n * np.outer(mean, mean)
-    f, t = [i - 1 for i in x], target
-    a, b = cov[np.ix_(f, f)] + lam * np.eye(len(f)), cov[f, t]
-    scale = np.sqrt(np.maximum(np.diag(a), 0))
-    live = scale > 1e-9 * np.sqrt(np.maximum(np.diag(g)[x], 1e-300))
-    w = np.zeros(len(f))
-    if live.any():
-        k = scale[live]
-        w[live] = np.linalg.lstsq(a[np.ix_(live, live)] / np.outer(k, k), b[live] / k, rcond=1e-10)[0] / k
-    theta[0], theta[1:] = mean[t] - w @ mean[f], w
+def matrix(c: float, s, q) -> np.ndarray:
+    return matrices([c], [list(s)], [list(q)])[0]
+
+
+def _centred(g: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(counts, means, centred pair sums); of no rows they are zero."""
+    n = g[:, 0, 0]
+    mean = g[:, 0, 1:] / np.where(n > 0, n, 1.0)[:, None]
+    return n, mean, g[:, 1:, 1:] - n[:, None, None] * mean[:, :, None] * mean[:, None, :]
+
+
+def ridges(g: np.ndarray, target: int, lam: float = 0.0) -> np.ndarray:
+    """(intercept, weights) of each of n matrices, in a few stacked operations.
+
+    Features are centred and scaled first, so the solve is well conditioned and the penalty applies to the original
+    weights but not to the intercept. Constant features get weight 0; directions that features share get the least norm.
+    """
+    n, mean, cov = _centred(g)
+    f = [i for i in range(g.shape[1] - 1) if i != target]
+    theta = np.zeros((len(g), len(f) + 1))
+    if f:
+        a = cov[:, f][:, :, f] + lam * np.eye(len(f))
+        own = np.maximum(np.einsum("nii->ni", a), 0.0)
+        size = np.maximum(np.einsum("nii->ni", g[:, 1:, 1:])[:, f], 1e-300)
+        live = np.sqrt(own) > 1e-9 * np.sqrt(size)
+        k = np.where(live, np.sqrt(own), 1.0)
+        both = live[:, :, None] & live[:, None, :]
+        scaled = np.where(both, a / (k[:, :, None] * k[:, None, :]), 0.0)
+        values, vectors = np.linalg.eigh(scaled)
+        inverse = np.where(values > 1e-10 * values.max(axis=1, keepdims=True).clip(1e-300), 1 / np.where(values > 0, values, 1.0), 0.0)
+        side = np.where(live, cov[:, f, target] / k, 0.0)
+        w = np.einsum("nij,nj,nkj,nk->ni", vectors, inverse, vectors, side, optimize=True) / k
+        theta[:, 1:] = np.where(live, w, 0.0)
+    theta[:, 0] = mean[:, target] - np.einsum("ni,ni->n", theta[:, 1:], mean[:, f])
+    theta[n <= 0] = 0.0
     return theta
 
 
+def ridge(g: np.ndarray, target: int, lam: float = 0.0) -> np.ndarray:
+    return ridges(g[None], target, lam)[0]
+
+
+def losses(g: np.ndarray, target: int, theta: np.ndarray) -> np.ndarray:
+    """Squared loss of each parameter vector over the rows that its matrix stands for, from centred sums."""
+    n, mean, cov = _centred(g)
+    v = np.zeros((len(g), g.shape[1] - 1))
+    v[:, target] = 1.0
+    v[:, [i for i in range(v.shape[1]) if i != target]] = -theta[:, 1:]
+    bias = np.einsum("ni,ni->n", v, mean) - theta[:, 0]
+    return np.where(n > 0, np.einsum("ni,nij,nj->n", v, cov, v) + n * bias * bias, 0.0)
+
+
 def sse(g: np.ndarray, target: int, theta: np.ndarray) -> float:
-    """Squared loss of parameters over the rows a matrix stands for, from centred sums."""
-    x = [i for i in range(1, len(g)) if i != target + 1]
-    n = g[0, 0]
-    if n <= 0:
-        return 0.0
-    mean = g[0, 1:] / n
-    cov = g[1:, 1:] - n * np.outer(mean, mean)
-    v = np.zeros(len(mean))
-    v[target] = 1.0
-    v[[i - 1 for i in x]] = -theta[1:]
-    bias = v @ mean - theta[0]
-    return float(v @ cov @ v + n * bias * bias)
+    return float(losses(g[None], target, np.asarray(theta)[None])[0])
 
 
-def r2(g: np.ndarray, target: int, theta: np.ndarray) -> float:
+def r2s(g: np.ndarray, target: int, theta: np.ndarray) -> np.ndarray:
     """1 - squared loss over total squares; NaN where the target is constant."""
-    n = g[0, 0]
-    total = g[target + 1, target + 1] - g[0, target + 1] ** 2 / n if n else 0.0
-    return 1.0 - sse(g, target, theta) / total if total > 1e-12 * max(1.0, g[target + 1, target + 1]) else float("nan")
+    _, _, cov = _centred(g)
+    total = cov[:, target, target]
+    known = (g[:, 0, 0] > 0) & (total > 1e-12 * np.maximum(1.0, g[:, target + 1, target + 1]))
+    return np.where(known, 1.0 - losses(g, target, theta) / np.where(known, total, 1.0), np.nan)
+
+
+def r2(g: np.ndarray, target: int, theta: np.ndarray) -> float:
+    return float(r2s(g[None], target, np.asarray(theta)[None])[0])
 
 
 def extend_inverse(inverse: np.ndarray, cross: np.ndarray, own: float) -> np.ndarray:
@@ -76,32 +98,46 @@ def extend_inverse(inverse: np.ndarray, cross: np.ndarray, own: float) -> np.nda
     return grown
 
 
+def _stacked(c: pd.Series, s: pd.Series, q: pd.Series):
+    """(positions, matrices) of the elements of each width."""
+    widths = s.map(len).to_numpy()
+    for m in np.unique(widths):
+        at = np.flatnonzero(widths == m)
+        yield at, matrices(c.to_numpy()[at], np.stack(s.to_numpy()[at]), np.stack(q.to_numpy()[at]))
+
+
 def ols(g: Column, target: int, lam: float = 0.0) -> Column:
     """θ of each sketch in a column."""
 
     @F.pandas_udf("array<double>")
     def solved(c: pd.Series, s: pd.Series, q: pd.Series) -> pd.Series:
-        return pd.Series([ridge(matrix(*row), target, lam) for row in zip(c, s, q, strict=True)], dtype=object)
+        out = np.empty(len(c), object)
+        for at, stack in _stacked(c, s, q):
+            for i, theta in zip(at, ridges(stack, target, lam), strict=True):
+                out[i] = theta
+        return pd.Series(out, dtype=object)
 
     return solved(g["c"], g["s"], g["q"])
 
 
-def loss(g: Column, target: int, theta: Column) -> Column:
+def _of_theta(measure, target: int):
     @F.pandas_udf("double")
-    def lost(c: pd.Series, s: pd.Series, q: pd.Series, t: pd.Series) -> pd.Series:
-        return pd.Series([sse(matrix(a, b, d), target, np.asarray(e)) for a, b, d, e in zip(c, s, q, t, strict=True)])
+    def measured(c: pd.Series, s: pd.Series, q: pd.Series, t: pd.Series) -> pd.Series:
+        out = np.empty(len(c))
+        for at, stack in _stacked(c, s, q):
+            out[at] = measure(stack, target, np.stack(t.to_numpy()[at]))
+        return pd.Series(out)
 
-    return lost(g["c"], g["s"], g["q"], theta)
+    return measured
 
 
-def r2_of(g: Column, target: int, theta: Column) -> Column:
-    """R² of parameters on a sketch, null for a constant target."""
+def loss(g: Column, target: int, theta: Column) -> Column:
+    return _of_theta(losses, target)(g["c"], g["s"], g["q"], theta)
 
-    @F.pandas_udf("double")
-    def fitted(c: pd.Series, s: pd.Series, q: pd.Series, t: pd.Series) -> pd.Series:
-        return pd.Series([r2(matrix(a, b, d), target, np.asarray(e)) for a, b, d, e in zip(c, s, q, t, strict=True)])
 
-    return F.nanvl(fitted(g["c"], g["s"], g["q"], theta), F.lit(None).cast("double"))
+def r2_of(g: Column, target: int, theta: Column) -> Column:
+    """R² of parameters on a sketch, null for a constant target."""
+    return F.nanvl(_of_theta(r2s, target)(g["c"], g["s"], g["q"], theta), F.lit(None).cast("double"))
 
 
 def threshold(score: Column, cut: float = 0.5) -> Column:

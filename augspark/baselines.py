@@ -13,8 +13,12 @@ from pyspark.sql import functions as F
 
 from augspark.assess import crossval, vertical
 from augspark.catalog import one_row_per_key
+from augspark.cluster import materialize
 from augspark.sketch import build
 
+#: Rows of a broadcast sample of neighbours.
+POOL_ROWS = 20_000
+
 
 def online_factorized(train: DataFrame, features: Sequence[str], key: str, candidates: dict[str, tuple[DataFrame, str, Sequence[str]]], fold: str = "fold", mode: str = "weight", impute: str = "mean", exact: bool = False) -> DataFrame:
     """The engine's assessment without stored sketches: base rows of user and candidate are aggregated for each candidate."""
@@ -28,7 +32,7 @@ def online_factorized(train: DataFrame, features: Sequence[str], key: str, candi
     return out
 
 
-def materialized(train: DataFrame, key: str, right: DataFrame, right_key: str, own: Sequence[str], features: Sequence[str], fold: str = "fold") -> DataFrame:
+def materialised(train: DataFrame, key: str, right: DataFrame, right_key: str, own: Sequence[str], features: Sequence[str], fold: str = "fold") -> DataFrame:
     """Join rows, then aggregate: what the sketches stand for (one row a key on the right)."""
     means = one_row_per_key(right, right_key, own).withColumnRenamed(right_key, "_k")
     fill = means.agg(*[F.avg(c).alias(c) for c in own]).first().asDict()
@@ -47,9 +51,10 @@ def injection_join(train: DataFrame, candidates: Sequence[tuple[str, DataFrame,
 def injection_select(joined: DataFrame, features: Sequence[str], target: str, frac: float = 0.2, rounds: int = 10, depth: int = 3, sample: float = 0.1, trees: int = 100, inject: bool = True, seed: int = 1) -> DataFrame:
     """(feature, votes): in how many rounds a feature beats every injected random column, by forest and by sparse regression."""
     spark, votes = joined.sparkSession, dict.fromkeys(features, 0)
-    filled = joined.fillna(0.0, subset=list(features)).sample(fraction=sample, seed=seed) if sample < 1 else joined.fillna(0.0, subset=list(features))
+    filled = joined.fillna(0.0, subset=list(features))
+    filled = filled.filter(F.pmod(F.xxhash64(*[F.col(c) for c in filled.columns], F.lit(seed)), F.lit(1000)) < int(1000 * sample)) if sample < 1 else filled
     means = filled.agg(*[F.stddev_samp(f).alias(f) for f in features]).first().asDict()
-    base = filled.select(target, *[(F.col(f).cast("double") / (means[f] or 1.0)).alias(f) for f in features]).cache()
+    base = materialize(filled.select(target, *[(F.col(f).cast("double") / (means[f] or 1.0)).alias(f) for f in features]), "injection")
     for r in range(rounds if inject else 1):
         noise = [f"_noise{i}" for i in range(max(1, round(frac * len(features))))] if inject else []
         data = base.select("*", *[F.randn(seed=seed * 1000 + r * 50 + i).alias(n) for i, n in enumerate(noise)])
@@ -61,7 +66,6 @@ def injection_select(joined: DataFrame, features: Sequence[str], target: str, fr
             bar = max(weights[len(features) :], default=0.0)
             for f, w in zip(features, weights, strict=False):
                 votes[f] += bool(w > bar)
-    base.unpersist()
     return spark.createDataFrame([(f, v) for f, v in votes.items()], "feature string, votes int")
 
 
@@ -75,11 +79,13 @@ def _distance(a: Sequence[Column], b: Sequence[Column]) -> Column:
 def neighbours(queries: DataFrame, pool: DataFrame, features: Sequence[str], k: int = 3) -> DataFrame:
     """The k nearest pool rows of each query row by squared distance, ties by id; both tables are bounded samples with an id.
 
-    The pool is broadcast, so callers pass a sample of checked size.
+    The pool is broadcast: more than POOL_ROWS rows are refused, ``neighbours_all`` takes them.
     """
+    if pool.limit(POOL_ROWS + 1).count() > POOL_ROWS:
+        raise ValueError(f"a pool of more than {POOL_ROWS} rows is no sample")
     q = queries.select(F.col("id").alias("qid"), *[F.col(f).cast("double").alias(f"q_{f}") for f in features])
     p = pool.select(*[c for c in pool.columns if c not in features], *[F.col(f).cast("double").alias(f"p_{f}") for f in features])
-    both = q.join(F.broadcast(p), F.col("id") != F.col("qid"))
+    both = q.join(F.broadcast(p), F.col("id") != F.col("qid"))  # at most POOL_ROWS rows
     far = _distance([F.col(f"q_{f}") for f in features], [F.col(f"p_{f}") for f in features])
     rank = F.row_number().over(Window.partitionBy("qid").orderBy("d", "id"))
     return both.withColumn("d", F.round(far, 8)).withColumn("n", rank).filter(F.col("n") <= k)

@@ -56,6 +56,13 @@ def list_files(spark: SparkSession, path: str, suffix: str = "") -> list[tuple[s
     return sorted(found)
 
 
+def holds_files(spark: SparkSession, path: str) -> bool:
+    """Whether a folder exists and is not empty."""
+    jpath = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = jpath.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    return bool(fs.exists(jpath) and len(fs.listStatus(jpath)))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given Parquet tables."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

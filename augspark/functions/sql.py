@@ -4,12 +4,33 @@ from __future__ import annotations
 
 import json
 
-from pyspark.sql import SparkSession
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 ELEMENT = "STRUCT<c: DOUBLE, s: ARRAY<DOUBLE>, q: ARRAY<DOUBLE>>"
 
 
+def gram_agg(*features: Column) -> Column:
+    """Count, sums and pair sums of a group in one array, as an aggregate function; see ``element_of``.
+
+    ``ring.gram.gamma`` does the same in generated code, with partial sums before the shuffle: this one is for convenience.
+    """
+
+    @F.pandas_udf("array<double>")
+    def total(*columns: pd.Series) -> list[float]:
+        x = np.column_stack([c.to_numpy(float) for c in columns])
+        return [float(len(x)), *x.sum(axis=0).tolist(), *(x.T @ x)[np.triu_indices(x.shape[1])].tolist()]
+
+    return total(*[f.cast("double") for f in features])
+
+
+def element_of(flat: Column, m: int) -> Column:
+    """The element of m features from the array of ``gram_agg``."""
+    return F.struct(flat[0].alias("c"), F.slice(flat, 2, m).alias("s"), F.slice(flat, m + 2, m * (m + 1) // 2).alias("q"))
+
+
 def register(spark: SparkSession) -> None:
     """gram_mean, gram_variance, gram_reweight, gram_slope and gram_r2 (feature 0 explains feature 1), and augmentation_plan."""
     one = {

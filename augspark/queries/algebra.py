@@ -270,7 +270,7 @@ def worked_example_vertical(spark, d):
 @register("other_learners")
 def other_learners(spark, d):
     """Learners outside the sketches' reach, on a materialised table: R² or training cost by family."""
-    from augspark.automl.search import ModelSearch, cluster_baseline
+    from augspark.modelsearch.search import ModelSearch, cluster_baseline
 
     df = planted(spark, d).join(table(spark, d, "supplier").select(F.col("s_suppkey").alias("l_suppkey"), "s_acctbal"), "l_suppkey")
     found = ModelSearch("broad", 60).run(df, ["s_acctbal", "l_quantity"], "y")

@@ -69,7 +69,7 @@ def online_factorized_gram(spark, d):
 @register("vertical_materialized", joined_sql({"price": _PART["price"]}, "l_partkey"))
 def vertical_materialized(spark, d):
     part = table(spark, d, "part").withColumn("x", F.col("p_retailprice") / 1000)
-    g = baselines.materialized(lines(spark, d), "l_partkey", part, "p_partkey", ["x"], USER)
+    g = baselines.materialised(lines(spark, d), "l_partkey", part, "p_partkey", ["x"], USER)
     return g.select(F.lit("price").alias("dataset"), "fold", *means(NAMES))
 
 
@@ -120,9 +120,30 @@ def vertical_impute_median(spark, d):
     return _vertical_events(spark, d, "mean", "median")
 
 
-@register("vertical_mean", _events_sql("avg(x)", "x * x"))
-def vertical_mean(spark, d):
-    return _vertical_events(spark, d, "mean")
+_COUNTS = "SELECT user_id AS k, count(*)::DOUBLE AS x FROM events GROUP BY 1"
+_MODE = f"(SELECT x AS u FROM ({_COUNTS}) GROUP BY x ORDER BY count(*) DESC, x LIMIT 1)"
+
+
+def _fill_sql(fill: str) -> str:
+    return f"SELECT fold, {sql_means(CNAMES)} FROM (SELECT bal, nation, fold, coalesce(x, u) AS x FROM ({_ROWS}) r LEFT JOIN ({_COUNTS}) e USING (k) CROSS JOIN {fill}) GROUP BY 1"
+
+
+def _vertical_counts(spark, d, impute):
+    user, totals = _customers(spark, d)
+    counts = table(spark, d, "events").groupBy(F.col("user_id").alias("key")).agg(F.count("*").cast("double").alias("x"))
+    cand = build.by_key(counts, ["x"], ["key"]).withColumn("dataset", F.lit("counts"))
+    return vertical.batch(user, cand, totals, 2, 1, "weight", impute).select("fold", *means(CNAMES))
+
+
+@register("vertical_impute_mode", _fill_sql(_MODE))
+def vertical_impute_mode(spark, d):
+    """Rows without partner meet the commonest value of the other table's keys, the smallest on ties."""
+    return _vertical_counts(spark, d, "mode")
+
+
+@register("vertical_impute_constant", _fill_sql("(SELECT 2.5::DOUBLE AS u)"))
+def vertical_impute_constant(spark, d):
+    return _vertical_counts(spark, d, 2.5)
 
 
 @register("vertical_raw_fanout", _events_sql("avg(x)", "v", "n"))
@@ -198,23 +219,42 @@ def chain_by(spark, d, key: str):
 
 
 def _share(key):
-    return register(f"bench_share_{ {'a': 'A', 'b': 'B', 'c': 'C', 'n': 'D'}[key] }", f"SELECT {key}, {sql_means(CHAIN)} {_CHAIN} GROUP BY 1")
+    return register(f"bench_share_{ {'a': 'A', 'b': 'B', 'c': 'C', 'n': 'D'}[key] }", f"SELECT {key} AS key, {sql_means(CHAIN)} {_CHAIN} GROUP BY 1")
 
 
 for _key in ("a", "b", "c", "n"):
-    _share(_key)(lambda spark, d, _key=_key: chain_by(spark, d, _key).select(_key, *means(CHAIN)))
+    _share(_key)(lambda spark, d, _key=_key: chain_by(spark, d, _key).select(F.col(_key).alias("key"), *means(CHAIN)))
+
+
+_HALF = "(SELECT o_orderkey, o_custkey, o_totalprice / 100000 AS price FROM orders WHERE o_orderkey % 3 <> 0)"
+_LEFT = f"FROM lineitem LEFT JOIN {_HALF} o ON l_orderkey = o_orderkey CROSS JOIN (SELECT avg(price) AS u FROM {_HALF})"
+
+
+def left_extended(spark, d, by: str):
+    """Lines joined left to two thirds of the orders, from sketches, by a key of the lines or one that arrives with orders."""
+    o = table(spark, d, "orders").filter("o_orderkey % 3 <> 0").select(F.col("o_orderkey").alias("l_orderkey"), F.col("o_custkey").alias("c"), (F.col("o_totalprice") / 100000).alias("price"))
+    u = o.agg(F.avg("price")).first()[0]
+    plan = build.by_key(lines(spark, d), ["l_quantity"], ["l_orderkey", *([by] if by != "c" else [])])
+    added = build.by_key(o, ["price"], ["l_orderkey", *(["c"] if by == "c" else [])])
+    return reuse.extend_left(plan, added, ["l_orderkey"], [by], 1, 1, reuse.constant([u]))
+
+
+@register("reuse_left_missing", f"SELECT l_suppkey, {sql_means(['l_quantity', 'price'])} FROM (SELECT l_suppkey, l_quantity, coalesce(price, u) AS price {_LEFT}) GROUP BY 1")
+def reuse_left_missing(spark, d):
+    """A key of the plan: rows without partner keep their place and meet the mean of the other table's keys."""
+    return left_extended(spark, d, "l_suppkey").select("l_suppkey", *means(["l_quantity", "price"]))
 
 
-@register("reuse_new_key", f"SELECT n, {sql_means(CHAIN)} {_CHAIN} GROUP BY 1")
+@register("reuse_new_key", f"SELECT o_custkey AS n, {sql_means(['l_quantity', 'price'])} FROM (SELECT o_custkey, l_quantity, price {_LEFT} WHERE price IS NOT NULL) GROUP BY 1")
 def reuse_new_key(spark, d):
-    """The nation key arrives with the newly joined table: only its composite sketch is needed."""
-    return chain_by(spark, d, "n").select("n", *means(CHAIN))
+    """A key that arrives with the joined table: only its composite sketch is needed, and unmatched rows have no such key."""
+    return left_extended(spark, d, "c").select(F.col("c").alias("n"), *means(["l_quantity", "price"]))
 
 
-@register("reuse_old_key", f"SELECT a, {sql_means(CHAIN)} {_CHAIN} GROUP BY 1")
+@register("reuse_old_key", f"SELECT l_linenumber, {sql_means(['l_quantity', 'price'])} FROM (SELECT l_linenumber, l_quantity, coalesce(price, u) AS price {_LEFT}) GROUP BY 1")
 def reuse_old_key(spark, d):
-    """A key of the first table: the plan's composite sketch by (a, c) is extended."""
-    return chain_by(spark, d, "a").select("a", *means(CHAIN))
+    """A key of few values: the plan's composite sketch by it and the join key is extended."""
+    return left_extended(spark, d, "l_linenumber").select("l_linenumber", *means(["l_quantity", "price"]))
 
 
 @register("incremental_equals_full")

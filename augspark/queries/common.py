@@ -67,3 +67,66 @@ def sql_means(features: list[str], weight: str = "1", digits: int = 6, terms: di
     out += [f"round(sum({weight} * {f})::DOUBLE / sum({weight}) + {TIE}::DOUBLE, {digits}) AS s_{f}" for f in features]
     out += [f"round(sum({weight} * {terms.get((features[i], features[j]), features[i] + ' * ' + features[j])})::DOUBLE / sum({weight}) + {TIE}::DOUBLE, {digits}) AS q_{features[i]}_{features[j]}" for i, j in gram.pairs(len(features))]
     return ", ".join(out)
+
+
+def cv_sql(base: str, sets: dict[str, list[str]], y: str = "y", name: str = "r") -> str:
+    """CTEs that end in ``name`` (dataset, cv_r2): mean fold R² of ordinary least squares on each list of columns.
+
+    base is a query with fold and the columns. Covariances of the training side of a fold are swept column by column, which
+    leaves the parameters in the target's column; they are then measured on the fold's own sums.
+    """
+    every = sorted({x for xs in sets.values() for x in xs}) + [y]
+    cells = [(a, b) for i, a in enumerate(every) for b in every[i:]]
+    sums = ", ".join([f"sum({v})::DOUBLE AS s_{v}" for v in every] + [f"sum({a} * {b})::DOUBLE AS q_{a}_{b}" for a, b in cells])
+    whole = ", ".join([f"sum(s_{v}) AS s_{v}" for v in every] + [f"sum(q_{a}_{b}) AS q_{a}_{b}" for a, b in cells])
+    rest = ", ".join([f"tot.s_{v} - f.s_{v} AS s_{v}" for v in every] + [f"tot.q_{a}_{b} - f.q_{a}_{b} AS q_{a}_{b}" for a, b in cells])
+    out = [
+        f"{name}_b AS ({base})",
+        f"{name}_f AS (SELECT fold, count(*)::DOUBLE AS n, {sums} FROM {name}_b GROUP BY fold)",
+        f"{name}_t AS (SELECT f.fold, tot.n - f.n AS n, {rest} FROM {name}_f f, (SELECT sum(n) AS n, {whole} FROM {name}_f) tot)",
+    ]
+    parts = []
+    for i, (label, xs) in enumerate(sets.items()):
+        vs = [v for v in every if v in xs] + [y]
+        k = len(vs) - 1
+        cov = ", ".join(f"q_{vs[a]}_{vs[b]} - s_{vs[a]} * s_{vs[b]} / n AS c{a}_{b}" for a in range(k + 1) for b in range(a, k + 1))
+        out.append(f"{name}_{i}_0 AS (SELECT fold, {cov} FROM {name}_t)")
+        out += [f"{name}_{i}_{step + 1} AS (SELECT fold, {_swept(step, k + 1)} FROM {name}_{i}_{step})" for step in range(k)]
+        out.append(f"{name}_{i}_v AS (SELECT fold, n, {cov}, {', '.join(f's_{v} / n AS m{a}' for a, v in enumerate(vs))} FROM {name}_f)")
+        out.append(f"{name}_{i}_m AS (SELECT fold, {', '.join(f's_{v} / n AS m{a}' for a, v in enumerate(vs))} FROM {name}_t)")
+        w = [f"w.c{a}_{k}" for a in range(k)]
+        bias = f"(v.m{k} - m.m{k})" + "".join(f" - {w[a]} * (v.m{a} - m.m{a})" for a in range(k))
+        quad = f"v.c{k}_{k}" + "".join(f" - 2 * {w[a]} * v.c{a}_{k}" for a in range(k)) + "".join(f" + {w[a]} * {w[b]} * v.c{min(a, b)}_{max(a, b)}" for a in range(k) for b in range(k))
+        parts.append(f"SELECT '{label}' AS dataset, avg(1 - (({quad}) + v.n * pow({bias}, 2)) / v.c{k}_{k}) AS cv_r2 FROM {name}_{i}_{k} w JOIN {name}_{i}_v v USING (fold) JOIN {name}_{i}_m m USING (fold)")
+    return ",\n".join([*out, f"{name} AS ({' UNION ALL '.join(parts)})"])
+
+
+def _swept(k: int, n: int) -> str:
+    """The select list of a symmetric matrix after a sweep on its k-th row."""
+    c = lambda i, j: f"c{min(i, j)}_{max(i, j)}"
+    cell = lambda i, j: f"-1 / {c(k, k)}" if i == j == k else f"{c(i, j)} / {c(k, k)}" if k in (i, j) else f"{c(i, j)} - {c(i, k)} * {c(k, j)} / {c(k, k)}"
+    return ", ".join(f"{cell(i, j)} AS {c(i, j)}" for i in range(n) for j in range(i, n))
+
+
+def greedy_sql(base: str, own: list[str], joins: dict[str, list[str]], steps: int = 3, delta: float = 0.02, extra: str = "") -> str:
+    """Rows (step, dataset, cv_r2) of a greedy choice among joins, each with its columns; ``own`` columns are always in.
+
+    Step 0 is the model without joins. A step is taken while it gains delta.
+    """
+    import itertools
+
+    names = sorted(joins)
+    sets = {"-": own} if own else {}
+    for n in range(1, min(steps, len(names)) + 1):
+        for chosen in itertools.combinations(names, n):
+            sets["+".join(chosen)] = [*own, *(x for c in chosen for x in joins[c])]
+    first = "b0 AS (SELECT '-' AS plan, '-' AS dataset, " + ("(SELECT cv_r2 FROM r WHERE dataset = '-')" if own else "0.0::DOUBLE") + " AS cv_r2)"
+    out, taken = [cv_sql(base, sets), "plans AS (SELECT list_sort(string_split(dataset, '+')) AS members, cv_r2 FROM r WHERE dataset <> '-')", first], []
+    for n in range(1, min(steps, len(names)) + 1):
+        had = "CASE WHEN b.plan = '-' THEN []::VARCHAR[] ELSE string_split(b.plan, '+') END"
+        out.append(
+            f"b{n} AS (SELECT array_to_string(p.members, '+') AS plan, list_filter(p.members, lambda x: NOT list_contains({had}, x))[1] AS dataset, p.cv_r2 FROM plans p, b{n - 1} b "
+            f"WHERE len(p.members) = {n} AND list_has_all(p.members, {had}) AND p.cv_r2 - b.cv_r2 >= {delta} ORDER BY p.cv_r2 DESC LIMIT 1)"
+        )
+        taken.append(f"SELECT {n}, dataset, round(cv_r2, 4) FROM b{n}")
+    return f"WITH {extra}{', ' if extra else ''}" + ",\n".join(out) + " SELECT 0 AS step, '-' AS dataset, round(cv_r2, 4) AS cv_r2 FROM b0 UNION ALL " + " UNION ALL ".join(taken)

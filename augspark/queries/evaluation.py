@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from augspark import baselines, measures
 from augspark.assess import crossval, horizontal, solve, vertical
 from augspark.cluster import materialize, table
-from augspark.queries.common import LINE, lines, planted, sql_gram, sql_means
+from augspark.queries.common import LINE, cv_sql, greedy_sql, lines, planted, sql_gram, sql_means
 from augspark.queries.registry import register
 from augspark.ring import gram
 from augspark.sketch import build
@@ -96,45 +96,31 @@ def injection_join_input(spark, d):
 
 @register("injection_select")
 def injection_select(spark, d):
-    """Votes of joined features against injected random columns: the three planted ones win."""
+    """Votes of joined features against injected random columns in ten rounds of a forest of 100 trees and a sparse model."""
     cands = [("l_partkey", table(spark, d, "part"), "p_partkey", ["p_retailprice", "p_size"]), ("l_suppkey", table(spark, d, "supplier"), "s_suppkey", ["s_acctbal"]), ("l_orderkey", table(spark, d, "orders"), "o_orderkey", ["o_totalprice", "o_custkey"])]
     joined = baselines.injection_join(planted(spark, d), cands)
     names = [f"j{n}_{f}" for n, c in enumerate(cands) for f in c[3]]
-    return baselines.injection_select(joined, [*LINE, *names], "y", rounds=3, trees=20, sample=0.3)
+    return baselines.injection_select(joined, [*LINE, *names], "y")
 
 
-_NN = "(SELECT (l_orderkey * 10 + l_linenumber) AS id, l_quantity AS a, l_discount * 100 AS b, l_extendedprice / 1000 AS y, row_number() OVER (PARTITION BY l_orderkey * 10 + l_linenumber ORDER BY l_extendedprice, l_partkey) AS n FROM lineitem WHERE l_orderkey < 120)"
-
-
-def _sample(spark, d, rows="l_orderkey < 120"):
-    df = table(spark, d, "lineitem").filter(rows).withColumn("id", F.col("l_orderkey") * 10 + F.col("l_linenumber"))
+def _points(spark, d):
+    """Lines with one row an (order, line number): id, two features of few values, and a target."""
+    df = table(spark, d, "lineitem").withColumn("id", F.col("l_orderkey") * 10 + F.col("l_linenumber"))
     n = F.row_number().over(Window.partitionBy("id").orderBy("l_extendedprice", "l_partkey"))
     return df.withColumn("n", n).filter("n = 1").select("id", F.col("l_quantity").alias("a"), (F.col("l_discount") * 100).alias("b"), (F.col("l_extendedprice") / 1000).alias("y"))
 
 
-@register("novelty_rank", f"WITH s AS (SELECT id, a, b, (a > 30)::INTEGER AS origin FROM {_NN} WHERE n = 1), p AS (SELECT q.id AS qid, q.origin AS mine, r.origin, row_number() OVER (PARTITION BY q.id ORDER BY round(pow(q.a - r.a, 2) + pow(q.b - r.b, 2), 8), r.id) AS n FROM s q JOIN s r ON q.id <> r.id), v AS (SELECT qid, any_value(mine) AS mine, (sum(origin) * 2 > 3)::INTEGER AS vote FROM p WHERE n <= 3 GROUP BY 1) SELECT round(avg((mine = vote)::INTEGER), 6) AS novelty FROM v")
+@register("novelty_rank")
 def novelty_rank(spark, d):
-    s = _sample(spark, d)
-    return baselines.novelty(s.filter("a <= 30").select("id", "a", "b"), s.filter("a > 30").select("id", "a", "b"), ["a", "b"]).select(F.round("novelty", 6).alias("novelty"))
-
-
-@register("knn_regress", f"WITH s AS (SELECT * FROM {_NN} WHERE n = 1), p AS (SELECT q.id AS qid, r.y, row_number() OVER (PARTITION BY q.id ORDER BY round(pow(q.a - r.a, 2) + pow(q.b - r.b, 2), 8), r.id) AS n FROM s q JOIN s r ON q.id <> r.id) SELECT qid, round(avg(y), 5) AS prediction FROM p WHERE n <= 3 GROUP BY 1")
-def knn_regress(spark, d):
-    s = _sample(spark, d)
-    return baselines.knn_regress(s, s, ["a", "b"], "y").select("qid", F.round("prediction", 5).alias("prediction"))
-
-
-@register("novelty_rank_all")
-def novelty_rank_all(spark, d):
-    """novelty_rank over all rows; SQL would form every pair of rows."""
-    s = _sample(spark, d, "true")
+    """How well 3-NN tells large orders' lines from small ones', over all rows; SQL would form every pair of rows."""
+    s = materialize(_points(spark, d), "novelty-rows")
     return baselines.novelty(s.filter("a <= 30").select("id", "a", "b"), s.filter("a > 30").select("id", "a", "b"), ["a", "b"], near=baselines.neighbours_all).select(F.round("novelty", 6).alias("novelty"))
 
 
-@register("knn_regress_all")
-def knn_regress_all(spark, d):
-    """knn_regress over all rows."""
-    s = materialize(_sample(spark, d, "true"), "knn-rows")
+@register("knn_regress")
+def knn_regress(spark, d):
+    """3-NN regression of every row by all others; SQL would form every pair of rows."""
+    s = materialize(_points(spark, d), "knn-rows")
     return baselines.knn_regress(s, s, ["a", "b"], "y", near=baselines.neighbours_all).select("qid", F.round("prediction", 5).alias("prediction"))
 
 
@@ -149,13 +135,31 @@ def modelsearch_trees(spark, d):
 
 
 def _model_search(spark, d, kind):
-    from augspark.automl.search import ModelSearch
+    from augspark.modelsearch.search import ModelSearch
 
     df = planted(spark, d).join(table(spark, d, "part").select(F.col("p_partkey").alias("l_partkey"), "p_retailprice"), "l_partkey")
     found = ModelSearch(kind, 30).run(df, ["p_retailprice", "l_quantity"], "y")
     return spark.createDataFrame([(n, float(s)) for _, n, s in found.trace], "family string, score double")
 
 
+@register("modelsearch_class")
+def modelsearch_class(spark, d):
+    """All families on a 0/1 target, among them support vectors and the perceptron: accuracy by family and setting."""
+    from augspark.modelsearch.search import ModelSearch
+
+    df = table(spark, d, "lineitem").select("l_quantity", "l_discount", "l_extendedprice", (F.col("l_quantity") * (1 - 5 * F.col("l_discount")) > 15).cast("int").alias("y"))
+    found = ModelSearch("broad", 60, "class").run(df, ["l_quantity", "l_discount", "l_extendedprice"], "y")
+    return spark.createDataFrame([(n, float(s)) for _, n, s in found.trace], "family string, score double")
+
+
+@register("hosted_cost", "SELECT * FROM (VALUES (600.0::DOUBLE, 21.252::DOUBLE), (3600.0, 21.252), (7200.0, 42.504)) AS t(seconds, cost)")
+def hosted_cost(spark, d):
+    """What a hosted service bills: at least an hour, whatever the budget."""
+    from augspark.modelsearch.search import HostedSimulator
+
+    return spark.createDataFrame([(s, HostedSimulator().bill(s)) for s in (600.0, 3600.0, 7200.0)], "seconds double, cost double")
+
+
 # workloads
 
 
@@ -246,31 +250,28 @@ def _bench_sql(key, domain, copies):
     return f"WITH c AS (SELECT o_custkey % {domain} AS key, avg(o_totalprice / 100000) AS x, avg(o_totalprice / 100000 * (o_totalprice / 100000)) AS v FROM orders GROUP BY 1), u AS (SELECT avg(x) AS u FROM c) SELECT {sql_means(['l_quantity', 'x'], terms={('x', 'x'): 'v'})} FROM (SELECT l_quantity, coalesce(x, u) AS x, coalesce(v, u * u) AS v FROM lineitem LEFT JOIN c ON {key} % {domain} = c.key CROSS JOIN u CROSS JOIN range(0, {copies}))"
 
 
-@register("bench_vertical_rows", " UNION ALL ".join(f"(SELECT {k} AS copies, * FROM ({_bench_sql('l_suppkey', 30, k)}))" for k in (1, 2)))
+@register("bench_vertical_rows", " UNION ALL ".join(f"(SELECT {k} AS copies, * FROM ({_bench_sql('l_suppkey', 30, k)}))" for k in (1, 2, 3, 4)))
 def bench_vertical_rows(spark, d):
     from augspark.queries.common import means
 
     out = None
-    for k in (1, 2):
+    for k in (1, 2, 3, 4):
         one = bench_vertical(spark, d, "l_suppkey", 30, k).select(F.lit(k).alias("copies"), *means(["l_quantity", "x"]))
         out = one if out is None else out.unionByName(one)
     return out
 
 
-@register("bench_vertical_domain", " UNION ALL ".join(f"(SELECT {n} AS domain, * FROM ({_bench_sql('l_orderkey', n, 1)}))" for n in (500, 1000)))
+@register("bench_vertical_domain", " UNION ALL ".join(f"(SELECT {n} AS domain, * FROM ({_bench_sql('l_orderkey', n, 1)}))" for n in (2000, 4000, 6000, 8000)))
 def bench_vertical_domain(spark, d):
     from augspark.queries.common import means
 
     out = None
-    for n in (500, 1000):
+    for n in (2000, 4000, 6000, 8000):
         one = bench_vertical(spark, d, "l_orderkey", n).select(F.lit(n).alias("domain"), *means(["l_quantity", "x"]))
         out = one if out is None else out.unionByName(one)
     return out
 
 
-SYNTHETIC = 100
-
-
 def uniform(name: str, key: str):
     return F.conv(F.substring(F.md5(F.concat(F.lit(f"{name}:"), F.col(key).cast("string"))), 1, 13), 16, 10).cast("double") / F.lit(float(2**52))
 
@@ -290,43 +291,85 @@ def synthetic_corpus_profile(spark, d):
     return df.agg(F.array(*cells).alias("a")).select(F.inline("a"))
 
 
-def synthetic_search(spark, d, useful: int, shape: str = "linear", candidates: int = 20):
-    """Greedy search among noisy copies of planted features and pure noise: (useful, shape, engine R², omniscient R²)."""
-    from augspark import catalog as cat
-    from augspark.search.engine import Search
-    from augspark.search.request import Request
-
-    part = table(spark, d, "part").select("p_partkey")
-    names = [f"f{i}" for i in range(2, 6)]
-    base = part.select("p_partkey", *[uniform(n, "p_partkey").alias(n) for n in names])
-    term = (lambda c: F.col(c)) if shape == "linear" else (lambda c: F.col(c) ** 2)
-    truth = base.withColumn("y", sum((term(n) for n in names), F.lit(0.0)))
-    req = lines(spark, d).select("l_partkey", "l_quantity", "fold").join(truth.select(F.col("p_partkey").alias("l_partkey"), "y"), "l_partkey")
-    cols = []
-    for i in range(candidates):
-        noise = uniform(f"noise{i}", "p_partkey")
-        if i < useful:
-            keep = min(1.0, 1 / max(0.1, (i // 4) * 0.7 + 0.5))  # the first copies of each feature are exact
-            cols.append((F.col(names[i % 4]) * keep + noise * (1 - keep)).alias(f"c{i}"))
-        else:
-            cols.append(noise.alias(f"c{i}"))
-    wide = materialize(base.select("p_partkey", *cols), "synthetic")
-    c = cat.Corpus(spark)
-    for i in range(candidates):
-        c.upload(wide.select(F.col("p_partkey").alias("partkey"), f"c{i}"), f"s{i}", "RAW", ["partkey"], [f"c{i}"])
-    a = Search(c, delta=0.005).run(Request(req, ["l_quantity"], "y", {"l_partkey": "partkey"}))
-    best = baselines.omniscient(req, [("l_partkey", wide, "p_partkey", [f"c{i}" for i in range(useful)])] if useful else [], ["l_quantity"], "y").first()["cv_r2"]
-    return spark.createDataFrame([(useful, shape, a.cv_r2, best)], "useful int, shape string, engine double, omniscient double")
-
-
-@register("synthetic_search_linear")
-def synthetic_search_linear(spark, d):
-    return synthetic_search(spark, d, 4, "linear", 6)
-
-
-@register("synthetic_search_square")
-def synthetic_search_square(spark, d):
-    return synthetic_search(spark, d, 4, "square", 6)
+def _synthetic(shape: str, useful: int):
+    @register(f"synthetic_{shape}_{useful}")
+    def run(spark, d):
+        """The controlled study: 100 candidates (10 unions, 90 joins on ten keys), so many of them useful; test R² of the
+        request alone, of the engine and of a model on all useful candidates. Gains above 0.005 are taken."""
+        from augspark import workloads
+
+        return workloads.synthetic(spark, d, useful, shape, delta=0.005)
+
+
+for _shape, _useful in (("linear", 0), ("linear", 1), ("linear", 5), ("linear", 10), ("linear", 50), ("linear", 100), ("square", 10), ("square", 100)):
+    _synthetic(_shape, _useful)
+
+
+RUNS: dict = {}
+
+
+def once(spark, d, name: str, make):
+    """A study's rows, run once a session and folder, for the queries that report on it."""
+    key = (spark.sparkContext.applicationId, d, name)
+    if key not in RUNS:
+        RUNS[key] = make()
+        RUNS[key] = materialize(RUNS[key], name)
+    return RUNS[key]
+
+
+def _loo(spark, d):
+    from augspark import workloads
+
+    return once(spark, d, "leave-one-out", lambda: workloads.leave_one_out(spark, d))
+
+
+@register("leave_one_out")
+def leave_one_out(spark, d):
+    """Every dataset of the corpus as a request once: test R² of its proxy alone and after the search, and its steps."""
+    return _loo(spark, d)
+
+
+@register("never_worse", "SELECT 0::BIGINT AS degraded")
+def never_worse(spark, d):
+    """Requests that the search left worse than no augmentation, by more than runs differ."""
+    from augspark.workloads import TOLERANCE
+
+    return _loo(spark, d).agg(F.count_if(F.col("engine") < F.col("alone") - TOLERANCE).alias("degraded"))
+
+
+@register("leave_one_out_cdf")
+def leave_one_out_cdf(spark, d):
+    """Cumulative distribution of scores, alone and after the search."""
+    both = _loo(spark, d).select("dataset", F.expr("stack(2, 'alone', alone, 'engine', engine) as (config, score)"))
+    return measures.cdf(both, "score", ["config"])
+
+
+@register("leave_one_out_heatmap")
+def leave_one_out_heatmap(spark, d):
+    """Requests by score alone and after the search."""
+    return measures.heatmap(_loo(spark, d), "alone", "engine")
+
+
+@register("vary_budget")
+def vary_budget(spark, d):
+    """Search alone and the engine under budgets of 2 to 10 seconds, and whether each budget held."""
+    from augspark import workloads
+
+    return once(spark, d, "vary-budget", lambda: workloads.vary_budget(spark, d, names=("d2",)))
+
+
+@register("budget_held")
+def budget_held(spark, d):
+    """Requests by whether search and model search together kept their budget."""
+    return vary_budget(spark, d).groupBy("held").agg(F.count("*").alias("requests"))
+
+
+@register("grid_outcome")
+def grid_outcome(spark, d):
+    """The best union of one cell's rows by the proxy and by novelty: seconds, and R² on training and test rows."""
+    from augspark import workloads
+
+    return workloads.grid_study(spark, d)
 
 
 @register("usecase_churn", "WITH e AS (SELECT user_id, avg(value) / 100 AS v FROM events GROUP BY 1), u AS (SELECT avg(v) AS u FROM e), n AS (SELECT c_nationkey AS k, avg(c_acctbal) / 1000 AS rate FROM customer GROUP BY 1) SELECT count(*)::DOUBLE AS c, round(regr_r2(y, v), 6) AS r2 FROM (SELECT (v IS NOT NULL AND v > 0.5)::INTEGER AS y, coalesce(e.v, u) AS v FROM customer LEFT JOIN e ON c_custkey = user_id CROSS JOIN u JOIN n ON c_nationkey = n.k)")
@@ -351,39 +394,64 @@ def usecase_region(spark, d):
     return out.select(F.col("fold").alias("c_nationkey"), *means(["bal", "orders_n"]))
 
 
-def _requests(spark, d):
-    """Six requests, three regressions and three classifications: (name, rows with y and fold, features, own key, candidate, its key, its feature)."""
-    line, part = planted(spark, d), table(spark, d, "part").select("p_partkey", "p_retailprice")
-    median = line.agg(F.percentile("y", F.lit(0.5))).first()[0]
-    acct = table(spark, d, "customer").select(F.col("c_custkey").alias("o_custkey"), "c_acctbal")
-    orders = table(spark, d, "orders").join(acct, "o_custkey").select("o_orderkey", "o_custkey", (F.col("o_totalprice") / 1000).alias("price"), (F.col("c_acctbal") / 100 + F.col("o_orderkey") % 17).alias("y"), (F.col("o_orderkey") % 10).cast("int").alias("fold"))
-    users = table(spark, d, "events").groupBy("user_id").agg(F.avg("value").alias("v"))
-    cust = table(spark, d, "customer").join(users, F.col("c_custkey") == F.col("user_id"), "left").select("c_custkey", F.col("c_nationkey").cast("double").alias("nation"), (F.coalesce("v", F.lit(0.0)) > 50).cast("int").alias("y"), (F.col("c_custkey") % 10).cast("int").alias("fold"))
-    flag = table(spark, d, "lineitem").select("l_partkey", *LINE, (F.col("l_returnflag") == "R").cast("int").alias("y"), ((F.col("l_orderkey") + 3 * F.col("l_linenumber")) % 10).cast("int").alias("fold"))
-    customers = acct.withColumnRenamed("o_custkey", "key").withColumnRenamed("c_acctbal", "x")
-    prices = part.toDF("key", "x")
-    suppliers = table(spark, d, "supplier").select(F.col("s_suppkey").alias("key"), F.col("s_acctbal").alias("x"))
-    return [
-        ("d1", orders, ["price"], "o_custkey", customers),
-        ("d2", line, LINE, "l_suppkey", suppliers),
-        ("d3", line, LINE, "l_partkey", prices),
-        ("d4", cust, ["nation"], "c_custkey", users.toDF("key", "x")),
-        ("d5", line.withColumn("y", (F.col("y") > median).cast("int")), LINE, "l_partkey", prices),
-        ("d6", flag, LINE, "l_partkey", prices),
-    ]
+_LINES = "SELECT ((l_orderkey + 3 * l_linenumber) % 10)::INTEGER AS fold, {y} AS y, l_quantity, l_discount, l_tax, p_retailprice / 1000 AS part, s_acctbal / 1000 AS supplier, o_totalprice / 100000 AS orders FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey"
+_PLANTED = "(10 * (p_retailprice - 950) + 0.1::DOUBLE * s_acctbal + 0.002::DOUBLE * o_totalprice)"
+_THREE = {"part": ["part"], "supplier": ["supplier"], "orders": ["orders"]}
+_MEDIAN = f"med AS (SELECT median({_PLANTED}) AS m FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey)"
+_FEED = "(SELECT user_id, avg(value) AS v, count(*)::DOUBLE AS n FROM events GROUP BY 1)"
+_D4 = f"SELECT (c_custkey % 10)::INTEGER AS fold, (coalesce(v, 0) > 50)::INTEGER::DOUBLE AS y, c_nationkey::DOUBLE AS nation, coalesce(v, mv) / 100 AS spent, coalesce(n, mn) AS visits FROM customer LEFT JOIN {_FEED} e ON c_custkey = user_id CROSS JOIN (SELECT avg(v) AS mv, avg(n) AS mn FROM {_FEED})"
+_D6 = "SELECT ((l_orderkey + 3 * l_linenumber) % 10)::INTEGER AS fold, (l_returnflag = 'R')::INTEGER::DOUBLE AS y, l_quantity, l_discount, l_tax FROM lineitem"
+_ONLY = "SELECT 0 AS step, '-' AS dataset, round(cv_r2, 4) AS cv_r2 FROM r"
+REQUEST_SQL = {
+    "d1": greedy_sql("SELECT (o_orderkey % 10)::INTEGER AS fold, c_acctbal / 100 + o_orderkey % 17 AS y, o_totalprice / 1000 AS price, c_acctbal / 1000 AS customer FROM orders JOIN customer ON o_custkey = c_custkey", ["price"], {"customer": ["customer"]}, 1),
+    "d2": greedy_sql(f"{_LINES.format(y=_PLANTED + ' / 1000')} WHERE l_linenumber <= 2", LINE, _THREE),
+    "d3": greedy_sql(_LINES.format(y=_PLANTED + " / 1000"), LINE, _THREE),
+    "d4": greedy_sql(_D4, ["nation"], {"feed": ["spent", "visits"]}, 1),
+    "d5": greedy_sql(f"{_LINES.format(y=f'({_PLANTED} > m)::INTEGER::DOUBLE')}, med", LINE, _THREE, extra=_MEDIAN),
+    "d6": f"WITH {cv_sql(_D6, {'-': LINE})} {_ONLY}",
+}
+
+
+def _request(name: str):
+    @register(f"request_{name}", REQUEST_SQL[name])
+    def run(spark, d):
+        """A request's whole search over the dimension tables and rollups: score of the plan at each step."""
+        from augspark import workloads
+        from augspark.search.engine import Search
+        from augspark.search.request import Request
+
+        task = next(t for t in workloads.six(spark, d) if t.name == name)
+        corpus = once_corpus(spark, d)
+        a = Search(corpus).run(Request(task.rows, task.features, "y", task.keys))
+        rows = [(0, "-", float(a.base_r2)), *((i, s.dataset, float(s.cv_r2)) for i, s in enumerate(a.plan, 1))]
+        return spark.createDataFrame(rows, "step int, dataset string, r double").select("step", "dataset", F.round("r", 4).alias("cv_r2"))
+
+
+def once_corpus(spark, d):
+    """The corpus of the six requests, registered once a session and folder."""
+    from augspark import workloads
+
+    key = (spark.sparkContext.applicationId, d, "corpus")
+    if key not in RUNS:
+        RUNS[key] = workloads.dimensions(spark, d)
+    return RUNS[key]
+
+
+for _name in REQUEST_SQL:
+    _request(_name)
+
+
+@register("request_sizes", "SELECT 'd1' AS request, (SELECT count(*) FROM orders) * 32 AS bytes UNION ALL SELECT 'd2', (SELECT count(*) FROM lineitem WHERE l_linenumber <= 2) * 64 UNION ALL SELECT 'd3', (SELECT count(*) FROM lineitem) * 64 UNION ALL SELECT 'd4', (SELECT count(*) FROM customer) * 32 UNION ALL SELECT 'd5', (SELECT count(*) FROM lineitem) * 64 UNION ALL SELECT 'd6', (SELECT count(*) FROM lineitem) * 56")
+def request_sizes(spark, d):
+    """Bytes of each request's training table, by which requests are classed as small, medium or large."""
+    from augspark import workloads
+
+    return spark.createDataFrame([(t.name, workloads.size_class(t.rows)[0]) for t in workloads.six(spark, d)], "request string, bytes long")
 
 
 @register("six_requests")
 def six_requests(spark, d):
-    """Proxy R² of six requests before and after their best join; the sixth has no useful candidate."""
-    rows = []
-    for name, df, feats, key, cand in _requests(spark, d):
-        whole = [*feats, "y"]
-        m = len(whole)
-        totals = materialize(build.total(df, whole, "fold"), f"totals-{name}")
-        before = crossval.score(totals.withColumn("dataset", F.lit("base")), m - 1).first()["cv_r2"]
-        c = build.by_key(cand, ["x"], ["key"]).withColumn("dataset", F.lit(name))
-        u = build.by_key(df, whole, [key], "fold").withColumnRenamed(key, "key")
-        after = crossval.score(vertical.batch(u, c, totals, m, 1), m - 1).first()["cv_r2"]
-        rows.append((name, float(before), float(after)))
-    return spark.createDataFrame(rows, "request string, before double, after double")
+    """Test score, seconds and dollars of six requests by model search alone and by the engine before it, under ten seconds."""
+    from augspark import workloads
+
+    return workloads.six_requests(spark, d, 10.0, 1, ("trees", "engine+trees"))

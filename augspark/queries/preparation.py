@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from augspark.cluster import table
 from augspark.prep import clean, features, impute, standardize
 from augspark.profile import index, minhash, stats
+from augspark.ring import gram
 from augspark.queries.common import LINE, lines
 from augspark.queries.registry import register
 from augspark.sketch import build
@@ -100,11 +101,13 @@ def minhash_signature(spark, d):
     return _signatures(spark, d).select("name", F.posexplode("signature").alias("seed", "h"))
 
 
-@register("minhash_jaccard_pairs", f"WITH s AS ({_SIG_SQL}) SELECT a.name AS a, b.name AS b, sum((a.h = b.h)::INTEGER) / 16.0::DOUBLE AS similarity FROM s a JOIN s b ON a.s = b.s AND a.name < b.name GROUP BY 1, 2")
+@register("minhash_jaccard_pairs", f"WITH s AS ({_SIG_SQL}), b AS (SELECT DISTINCT a, b FROM (SELECT a.name AS a, b.name AS b, a.s // 2 AS band FROM s a JOIN s b ON a.s = b.s AND a.name < b.name GROUP BY 1, 2, 3 HAVING sum((a.h = b.h)::INTEGER) = 2)) SELECT b.a, b.b, sum((x.h = y.h)::INTEGER) / 16.0::DOUBLE AS similarity FROM b JOIN s x ON x.name = b.a JOIN s y ON y.name = b.b AND x.s = y.s GROUP BY 1, 2")
 def minhash_jaccard_pairs(spark, d):
+    """Estimated similarity of the pairs that share a band."""
     s = _signatures(spark, d)
-    left, right = s.toDF("a", "sa"), s.toDF("b", "sb")
-    return left.join(right, F.col("a") < F.col("b")).select("a", "b", minhash.similarity(F.col("sa"), F.col("sb")).alias("similarity"))  # a row a column profile
+    pairs = minhash.candidates(s, "name", bands=8, k=16)
+    met = pairs.join(s.toDF("a", "sa"), "a").join(s.toDF("b", "sb"), "b")
+    return met.select("a", "b", minhash.similarity(F.col("sa"), F.col("sb")).alias("similarity"))
 
 
 @register("lsh_candidates", f"WITH s AS ({_SIG_SQL}) SELECT DISTINCT a, b FROM (SELECT a.name AS a, b.name AS b, a.s // 2 AS band FROM s a JOIN s b ON a.s = b.s AND a.name < b.name GROUP BY 1, 2, 3 HAVING sum((a.h = b.h)::INTEGER) = 2)")
@@ -130,10 +133,64 @@ def exact_containment(spark, d):
     return index.exact_overlap(table(spark, d, "events").select("user_id"), table(spark, d, "orders").select("o_custkey")).select(F.round("containment", 6).alias("containment"))
 
 
-@register("unionable_pairs", "SELECT 'a' AS a, 'b' AS b, 3::BIGINT AS mapped, 0.75::DOUBLE AS share UNION ALL SELECT 'b', 'a', 3, 1.0")
+_TABLES = {"customer": ["c_custkey", "c_nationkey", "c_acctbal"], "orders": ["o_orderkey", "o_custkey", "o_totalprice"], "supplier": ["s_suppkey", "s_nationkey", "s_acctbal"], "part": ["p_partkey", "p_size", "p_retailprice"], "nation": ["n_nationkey", "n_regionkey"], "region": ["r_regionkey"]}
+
+
+@register(
+    "unionable_pairs",
+    "WITH c AS (SELECT table_name AS t, column_name AS c, data_type AS y, regexp_replace(lower(column_name), '^[a-z]{1,2}_', '') AS n FROM duckdb_columns() WHERE table_name IN ('customer', 'orders', 'supplier', 'part', 'nation', 'region')), "
+    "k AS (SELECT DISTINCT t, c, y, n FROM c WHERE c IN (" + ", ".join(f"'{c}'" for cs in _TABLES.values() for c in cs) + ")), "
+    "m AS (SELECT a.t AS a, b.t AS b, count(DISTINCT a.c) AS mapped FROM k a JOIN k b ON a.n = b.n AND a.y = b.y AND a.t <> b.t GROUP BY 1, 2) "
+    "SELECT a, b, mapped::BIGINT AS mapped, round(mapped / (SELECT count(*) FROM k WHERE t = a)::DOUBLE, 6) AS share FROM m",
+)
 def unionable_pairs(spark, d):
-    rows = [("a", "c_price", "double"), ("a", "c_quantity", "double"), ("a", "c_day", "date"), ("a", "c_other", "int"), ("b", "Price", "double"), ("b", "quantity_2", "double"), ("b", "day", "date")]
-    return index.unionable(spark.createDataFrame(rows, "dataset string, column string, type string"), 0.8)
+    """Given tables with columns of equal type and normal name: share of the first's columns that the second has."""
+    rows = [(t, c, y) for t, cs in _TABLES.items() for c, y in table(spark, d, t).select(*cs).dtypes]
+    found = index.unionable(spark.createDataFrame(rows, "dataset string, column string, type string"), 1.0)
+    return found.select("a", "b", "mapped", F.round("share", 6).alias("share"))
+
+
+def _index(spark, d):
+    """The discovery index over given tables and slices of one."""
+    keyed = {"customer": (["c_custkey", "c_nationkey"], ["c_acctbal"]), "orders": (["o_orderkey", "o_custkey"], ["o_totalprice"]), "supplier": (["s_suppkey", "s_nationkey"], ["s_acctbal"]), "part": (["p_partkey"], ["p_size", "p_retailprice"])}
+    found = index.ProfileIndex(spark)
+    for t, (keys, features) in keyed.items():
+        found.insert(t, table(spark, d, t), keys, features)
+    for n in (1, 2):
+        slice_ = table(spark, d, "lineitem").filter(F.col("l_linenumber") % 3 == n).select("l_orderkey", F.col("l_quantity").alias("quantity"), F.col("l_tax").alias("tax"), F.col("l_extendedprice").alias("extendedprice"))
+        found.insert(f"slice{n}", slice_, ["l_orderkey"], ["quantity", "tax", "extendedprice"])
+    return found
+
+
+@register("discover_candidates", "SELECT * FROM (VALUES ('horizontal', 'slice1', NULL, NULL), ('horizontal', 'slice2', NULL, NULL), ('vertical', 'orders', 'l_orderkey', 'o_orderkey'), ('vertical', 'part', 'l_partkey', 'p_partkey'), ('vertical', 'supplier', 'l_suppkey', 's_suppkey'), ('vertical', 'slice1', 'l_orderkey', 'l_orderkey'), ('vertical', 'slice2', 'l_orderkey', 'l_orderkey')) AS t(kind, dataset, key, via)")
+def discover_candidates(spark, d):
+    """What the index finds for lines: slices to union under other names, and tables whose key has the same name."""
+    rows = lines(spark, d)
+    found = _index(spark, d)
+    got = found.candidates(found.profile(rows, ["l_orderkey", "l_partkey", "l_suppkey"], ["l_quantity", "l_tax", "l_extendedprice"]))
+    same = (F.col("kind") == "horizontal") | (index.normal_name(F.col("key")) == index.normal_name(F.col("via")))
+    return got.filter(same).select("kind", "dataset", "key", "via")
+
+
+@register("discover_scores")
+def discover_scores(spark, d):
+    """All compared columns with their similarities."""
+    found = _index(spark, d)
+    return found.compared(found.profile(lines(spark, d), ["l_orderkey", "l_partkey", "l_suppkey"], ["l_quantity", "l_tax", "l_extendedprice"]))
+
+
+@register("index_refresh", "SELECT 'inserted' AS state, count(*)::BIGINT AS rows, min(o_totalprice) AS low, max(o_totalprice) AS high FROM orders UNION ALL SELECT 'deleted', count(*)::BIGINT, min(o_totalprice), max(o_totalprice) FROM orders WHERE o_orderkey % 2 = 0")
+def index_refresh(spark, d):
+    """Profiles after an insert, which is merged, and after a delete, for which the table is profiled again."""
+    o = table(spark, d, "orders").select("o_custkey", "o_orderkey", "o_totalprice")
+    found = index.ProfileIndex(spark)
+    part = lambda where: o.filter(where).drop("o_orderkey")
+    found.insert("orders", part("o_orderkey % 2 = 0"), ["o_custkey"], ["o_totalprice"])
+    found.refresh("orders", part("o_orderkey % 2 = 1"), ["o_custkey"], ["o_totalprice"], "insert")
+    told = lambda state: found.table().filter("role = 'feature'").select(F.lit(state).alias("state"), "rows", "low", "high")
+    first = told("inserted")
+    found.refresh("orders", part("o_orderkey % 2 = 0"), ["o_custkey"], ["o_totalprice"], "delete")
+    return first.unionByName(told("deleted"))
 
 
 @register("joinable_pairs", "WITH s AS (SELECT DISTINCT user_id AS v FROM events), c AS (SELECT DISTINCT c_custkey AS v FROM customer) SELECT 'events' AS a, 'customer' AS b, round((2.0::DOUBLE * (SELECT count(*) FROM s JOIN c USING (v)) / (SELECT count(*) FROM s) + (SELECT count(*) FROM s JOIN c USING (v))::DOUBLE / ((SELECT count(*) FROM s) + (SELECT count(*) FROM c) - (SELECT count(*) FROM s JOIN c USING (v)))) / 3, 6) AS score")
@@ -142,20 +199,8 @@ def joinable_pairs(spark, d):
     return index.joinable(o.withColumns({"a": F.lit("events"), "b": F.lit("customer")})).select("a", "b", F.round("score", 6).alias("score"))
 
 
-@register("cosine_topk", "WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings), p AS (SELECT a.vec_id AS a, b.vec_id AS b, round(list_dot_product(a.v, b.v) / sqrt(list_dot_product(a.v, a.v) * list_dot_product(b.v, b.v)), 6) AS cosine FROM e a, e b WHERE a.vec_id < 5 AND a.vec_id <> b.vec_id) SELECT a, b, cosine FROM (SELECT *, row_number() OVER (PARTITION BY a ORDER BY cosine DESC, b) AS n FROM p) WHERE n <= 3")
+@register("cosine_topk", "WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings), p AS (SELECT a.vec_id AS a, b.vec_id AS b, round(list_dot_product(a.v, b.v) / sqrt(list_dot_product(a.v, a.v) * list_dot_product(b.v, b.v)), 6) AS cosine FROM e a, e b WHERE a.vec_id % 100 = 0 AND a.vec_id <> b.vec_id) SELECT a, b, cosine FROM (SELECT *, row_number() OVER (PARTITION BY a ORDER BY cosine DESC, b) AS n FROM p) WHERE n <= 3")
 def cosine_topk(spark, d):
-    """Semantic neighbours of a few column vectors; the query side is five rows."""
-    from pyspark.sql import Window
-
-    v = table(spark, d, "embeddings").select("vec_id", "embedding")
-    q = v.filter("vec_id < 5").toDF("a", "va")
-    pairs = v.toDF("b", "vb").join(F.broadcast(q), F.col("a") != F.col("b")).select("a", "b", F.round(index.cosine(F.col("va"), F.col("vb")), 6).alias("cosine"))
-    n = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("cosine"), "b"))
-    return pairs.withColumn("n", n).filter("n <= 3").drop("n")
-
-
-@register("cosine_topk_all", "WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings), p AS (SELECT a.vec_id AS a, b.vec_id AS b, round(list_dot_product(a.v, b.v) / sqrt(list_dot_product(a.v, a.v) * list_dot_product(b.v, b.v)), 6) AS cosine FROM e a, e b WHERE a.vec_id % 100 = 0 AND a.vec_id <> b.vec_id) SELECT a, b, cosine FROM (SELECT *, row_number() OVER (PARTITION BY a ORDER BY cosine DESC, b) AS n FROM p) WHERE n <= 3")
-def cosine_topk_all(spark, d):
     """Semantic neighbours of every hundredth vector; blocks of queries meet blocks of vectors, each giving its best three."""
     import numpy as np
     import pandas as pd
@@ -180,11 +225,24 @@ def cosine_topk_all(spark, d):
     return met.mapInPandas(best, "a long, b long, cosine double").withColumn("n", n).filter("n <= 3").drop("n")
 
 
-@register("valid_keys", "SELECT 'l_suppkey' AS \"column\" UNION ALL SELECT 'l_partkey'")
+_KEYED = {"lineitem": ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_returnflag"], "customer": ["c_custkey", "c_nationkey", "c_mktsegment", "c_acctbal"]}
+
+
+@register(
+    "valid_keys",
+    "SELECT t AS table_name, c AS column FROM ("
+    + " UNION ALL ".join(f"SELECT '{t}' AS t, '{c}' AS c, count(DISTINCT {c}) AS n, count(*) AS r, count(*) - count({c}) AS z, typeof(any_value({c})) AS y FROM {t}" for t, cs in _KEYED.items() for c in cs)
+    + ") WHERE n >= 2 AND z <= 0.5 * r AND y IN ('INTEGER', 'BIGINT', 'VARCHAR')",
+)
 def valid_keys(spark, d):
-    p = stats.compute(lines(spark, d), ["l_quantity", "l_partkey", "l_suppkey", "l_tax"])
-    typed = p.withColumn("key_type", F.col("column").endswith("key"))
-    return index.valid_keys(typed, min_distinct=10, max_share=0.9).select("column")
+    """Columns of given tables fit to join on: whole numbers or text of several values."""
+    out = None
+    for t, cs in _KEYED.items():
+        types = {c: y in ("int", "bigint", "string") for c, y in table(spark, d, t).select(*cs).dtypes}
+        p = stats.compute(table(spark, d, t), cs, approximate=False).withColumn("key_type", F.col("column").isin([c for c, y in types.items() if y]))
+        one = index.valid_keys(p).select(F.lit(t).alias("table_name"), "column")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @register("features_documents", "SELECT source, count(*)::BIGINT AS n, round(avg(n_chars), 4) AS mean_chars, count(DISTINCT lang)::BIGINT AS langs FROM documents GROUP BY 1")
@@ -209,10 +267,22 @@ def features_benchmark(spark, d):
     return table(spark, d, "benchmark").select("item_id", F.length("text").cast("long").alias("chars"), F.size(F.split("text", " ")).cast("long").alias("words"))
 
 
-@register("gram_embeddings", "SELECT label, count(*)::DOUBLE AS c, round(avg(embedding[1]::DOUBLE), 5) AS s_0, round(avg(embedding[1]::DOUBLE * embedding[2]::DOUBLE), 5) AS q_0_1 FROM embeddings GROUP BY 1")
+@register(
+    "gram_embeddings",
+    "WITH e AS (SELECT label, list_prepend(1.0::DOUBLE, embedding::DOUBLE[]) AS v FROM embeddings) SELECT label, i::INTEGER - 1 AS i, j::INTEGER - 1 AS j, round(sum(v[i + 1] * v[j + 1]), 4) + 0.0 AS value FROM e, range(0, 65) AS a(i), range(0, 65) AS b(j) WHERE i <= j GROUP BY ALL",
+)
 def gram_embeddings(spark, d):
-    """Gram sketch of the first eight dimensions by label."""
-    dims = [f"d{i}" for i in range(8)]
-    df = table(spark, d, "embeddings").select("label", *[F.col("embedding")[i].cast("double").alias(n) for i, n in enumerate(dims)])
+    """Gram sketch of all 64 dimensions by label, by place: i = j = -1 is the count, i = -1 the sums."""
+    found = gram.wide(table(spark, d, "embeddings").select("label", "embedding"), "embedding", 64, ["label"])
+    return found.withColumn("value", F.round("value", 4) + 0.0)
+
+
+@register("gram_agg_udaf", "SELECT l_linenumber, count(*)::DOUBLE AS c, round(avg(l_quantity), 6) AS s_0, round(avg(l_tax), 6) AS s_1, round(avg(l_quantity * l_tax) + 1.3e-9::DOUBLE, 6) AS q_0_1 FROM lineitem GROUP BY 1")
+def gram_agg_udaf(spark, d):
+    """The sketch of a group as one aggregate function."""
+    from augspark.functions.sql import element_of, gram_agg
+    from augspark.queries.common import TIE
+
+    flat = lines(spark, d).groupBy("l_linenumber").agg(gram_agg(F.col("l_quantity"), F.col("l_tax")).alias("flat"))
     g = F.col("g")
-    return build.by_key(df, dims, ["label"]).select("label", g["c"].alias("c"), F.round(g["s"][0] / g["c"], 5).alias("s_0"), F.round(g["q"][1] / g["c"], 5).alias("q_0_1"))
+    return flat.select("l_linenumber", element_of(F.col("flat"), 2).alias("g")).select("l_linenumber", g["c"].alias("c"), F.round(g["s"][0] / g["c"], 6).alias("s_0"), F.round(g["s"][1] / g["c"], 6).alias("s_1"), F.round(g["q"][1] / g["c"] + TIE, 6).alias("q_0_1"))

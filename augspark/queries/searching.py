@@ -3,28 +3,26 @@
 from __future__ import annotations
 
 from dataclasses import replace
-from types import SimpleNamespace
-
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from augspark import catalog as cat
 from augspark.cluster import table
-from augspark.queries.common import LINE, REQ_SQL, lines, planted, sql_gram
+from augspark.queries.common import LINE, REQ_SQL, TIE, Y_SQL, cv_sql, greedy_sql, lines, planted, sql_gram
 from augspark.queries.registry import register
 from augspark.ring import gram
 from augspark.search import shape
 from augspark.search.cache import PlanCache
-from augspark.search.engine import Search
+from augspark.search.engine import ORDERS, Search
 from augspark.search.request import Request, Step
 from augspark.sketch import build, maintain
 
 KEYS = {"l_partkey": "partkey", "l_suppkey": "suppkey", "l_orderkey": "orderkey"}
 
 
-def corpus(spark, d, extra: bool = True, supplier: str = "RAW") -> cat.Corpus:
+def corpus(spark, d, extra: bool = True, supplier: str = "RAW", index=None) -> cat.Corpus:
     """Dimension tables as join candidates, with decoys."""
-    c = cat.Corpus(spark)
+    c = cat.Corpus(spark, index)
     c.upload(table(spark, d, "part").select(F.col("p_partkey").alias("partkey"), "p_retailprice"), "part", "RAW", ["partkey"], ["p_retailprice"])
     c.upload(table(spark, d, "supplier").select(F.col("s_suppkey").alias("suppkey"), "s_acctbal"), "supplier", supplier, ["suppkey"], ["s_acctbal"])
     c.upload(table(spark, d, "orders").select(F.col("o_orderkey").alias("orderkey"), "o_totalprice"), "orders", "RAW", ["orderkey"], ["o_totalprice"])
@@ -37,47 +35,30 @@ def request(spark, d, **how) -> Request:
     return Request(planted(spark, d), LINE, "y", KEYS, **how)
 
 
+def service(spark, d, **how):
+    """The whole request path over the corpus, with discovery and a plan cache."""
+    from augspark.profile.index import ProfileIndex
+    from augspark.serve.service import Service
+
+    index = ProfileIndex(spark)
+    return Service(corpus(spark, d, index=index), cache=PlanCache(), discovery=index, **how)
+
+
+def timings_model(spark):
+    """A cost model from timings that grow with the number of cells."""
+    from augspark.search.cost import CostModel
+
+    shapes = [(r, c) for r in (100, 1000, 10_000, 100_000, 1_000_000) for c in (2, 5, 10, 20)]
+    return CostModel(spark.createDataFrame([("linear", r, c, 0.01 + r * c * 1e-6) for r, c in shapes], "family string, rows long, cols int, seconds double"))
+
+
+XS = {"part": "p_retailprice", "supplier": "s_acctbal", "orders": "o_totalprice"}
+_BASE = "SELECT fold, y / 1000 AS y, l_quantity, l_discount, l_tax, p_retailprice / 1000 AS part, s_acctbal / 1000 AS supplier, o_totalprice / 100000 AS orders FROM req JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey"
+TRACE_SQL = greedy_sql(_BASE, LINE, {n: [n] for n in XS}, extra=REQ_SQL)
+
+
 def _cv_sql(name: str, sets: dict[str, list[str]]) -> str:
-    """Mean fold R² of ordinary least squares on up to three joined features, by Cramer's rule on sums of the training side."""
-    xs = {"part": "p_retailprice", "supplier": "s_acctbal", "orders": "o_totalprice"}
-    names = ["part", "supplier", "orders"]
-    cols = {n: f"x{i}" for i, n in enumerate(names)}
-    vs = [*cols.values(), "y"]
-    cells = [(a, b) for i, a in enumerate(vs) for b in vs[i:]]
-    sums = ", ".join([f"sum({v}) AS s_{v}" for v in vs] + [f"sum({a} * {b}) AS q_{a}_{b}" for a, b in cells] + ["count(*) AS n"])
-    base = f"f AS (SELECT fold, {sums} FROM base GROUP BY 1), tot AS (SELECT {', '.join([f'sum(s_{v}) AS s_{v}' for v in vs] + [f'sum(q_{a}_{b}) AS q_{a}_{b}' for a, b in cells] + ['sum(n) AS n'])} FROM f)"
-    diff = ", ".join([f"tot.s_{v} - f.s_{v} AS s_{v}" for v in vs] + [f"tot.q_{a}_{b} - f.q_{a}_{b} AS q_{a}_{b}" for a, b in cells] + ["tot.n - f.n AS n"])
-    cov = lambda p: ", ".join(f"{p}.q_{a}_{b} - {p}.s_{a} * {p}.s_{b} / {p}.n AS c_{a}_{b}" for a, b in cells)
-    tr = f"t0 AS (SELECT f.fold, {diff} FROM f, tot), t AS (SELECT t0.*, {cov('t0')} FROM t0), v AS (SELECT f.*, {cov('f')} FROM f)"
-
-    def c(a, b, p="t"):
-        return f"{p}.c_{a}_{b}" if vs.index(a) <= vs.index(b) else f"{p}.c_{b}_{a}"
-
-    def det(m):
-        if len(m) == 1:
-            return m[0][0]
-        return "(" + " ".join(f"{'-' if j % 2 else '+'} ({m[0][j]}) * ({det([r[:j] + r[j + 1:] for r in m[1:]])})" for j in range(len(m))) + ")"
-
-    out = []
-    for label, chosen in sets.items():
-        x = [cols[n] for n in chosen]
-        a = [[c(i, j) for j in x] for i in x]
-        full = det(a)
-        w = {x[k]: f"({det([[*r[:k], c(x[i], 'y'), *r[k + 1:]] for i, r in enumerate(a)])}) / ({full})" for k in range(len(x))}
-        bias = "v.s_y / v.n - t.s_y / t.n" + "".join(f" - ({w[i]}) * (v.s_{i} / v.n - t.s_{i} / t.n)" for i in x)
-        quad = c("y", "y", "v") + "".join(f" - 2 * ({w[i]}) * {c(i, 'y', 'v')}" for i in x) + "".join(f" + ({w[i]}) * ({w[j]}) * {c(i, j, 'v')}" for i in x for j in x)
-        out.append(f"SELECT '{label}' AS dataset, avg(1 - (({quad}) + v.n * pow({bias}, 2)) / {c('y', 'y', 'v')}) AS cv_r2 FROM t JOIN v USING (fold)")
-    joins = "FROM req JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey"
-    return f"{REQ_SQL}, base AS (SELECT fold, y / 1000 AS y, p_retailprice / 1000 AS x0, s_acctbal / 1000 AS x1, o_totalprice / 100000 AS x2 {joins}), {base}, {tr}, {name} AS ({' UNION ALL '.join(out)})"
-
-
-def _order_sql() -> str:
-    sets = {"part": ["part"], "supplier": ["supplier"], "orders": ["orders"], "part+supplier": ["part", "supplier"], "supplier+orders": ["supplier", "orders"], "part+orders": ["part", "orders"], "all": ["part", "supplier", "orders"]}
-    return f"""WITH {_cv_sql('r', sets)}, one AS (SELECT dataset, cv_r2 FROM r WHERE dataset IN ('part', 'supplier', 'orders') ORDER BY cv_r2 DESC LIMIT 1),
-    two AS (SELECT r.dataset AS pair, r.cv_r2, CASE WHEN split_part(r.dataset, '+', 1) = one.dataset THEN split_part(r.dataset, '+', 2) ELSE split_part(r.dataset, '+', 1) END AS dataset FROM r, one
-            WHERE r.dataset LIKE '%+%' AND (split_part(r.dataset, '+', 1) = one.dataset OR split_part(r.dataset, '+', 2) = one.dataset) ORDER BY r.cv_r2 DESC LIMIT 1),
-    three AS (SELECT d AS dataset, r.cv_r2 FROM r, one, two, (VALUES ('part'), ('supplier'), ('orders')) AS t(d) WHERE r.dataset = 'all' AND d <> one.dataset AND d <> two.dataset)
-    SELECT 1 AS step, dataset, round(cv_r2, 2) AS cv_r2 FROM one UNION ALL SELECT 2, dataset, round(cv_r2, 2) FROM two UNION ALL SELECT 3, dataset, round(cv_r2, 2) FROM three"""
+    return f"{REQ_SQL}, {cv_sql(_BASE, sets, name=name)}"
 
 
 def answer(spark, d, **how):
@@ -85,14 +66,123 @@ def answer(spark, d, **how):
     return c, Search(c, **how).run(request(spark, d))
 
 
-@register("greedy_plan_trace", _order_sql())
+def traced(spark, a):
+    """(step, dataset, cv_r2) of an answer, from the model without augmentation on."""
+    rows = [(0, "-", a.base_r2), *((i, s.dataset, s.cv_r2) for i, s in enumerate(a.plan, 1))]
+    return spark.createDataFrame([(i, n, float(r)) for i, n, r in rows], "step int, dataset string, r double").select("step", "dataset", F.round("r", 4).alias("cv_r2"))
+
+
+@register("greedy_plan_trace", TRACE_SQL)
 def greedy_plan_trace(spark, d):
     """The planted search: three joins in the order of their gain, decoys never, a stop at a small gain."""
-    _, a = answer(spark, d)
-    return spark.createDataFrame([(i, s.dataset, round(s.cv_r2, 2)) for i, s in enumerate(a.plan, 1)], "step int, dataset string, cv_r2 double")
+    return traced(spark, answer(spark, d)[1])
+
+
+@register("search_mean_mode", TRACE_SQL)
+def search_mean_mode(spark, d):
+    """The same with partners replaced by their mean, and without standardising."""
+    return traced(spark, answer(spark, d, mode="mean", standardise=False)[1])
+
+
+@register("search_online", TRACE_SQL)
+def search_online(spark, d):
+    """The same search from base rows: no stored sketch is read when candidates are scored."""
+    return traced(spark, answer(spark, d, online=True)[1])
+
+
+@register("search_pair_sketches", TRACE_SQL)
+def search_pair_sketches(spark, d):
+    """The same where sketches by pairs of keys are kept whatever their size, so the first join rescans no row."""
+    return traced(spark, answer(spark, d, pair_share=1.0)[1])
+
+
+@register("search_sketch_only", TRACE_SQL)
+def search_sketch_only(spark, d):
+    """The same where one table is known by its provider's sketches alone, under a name with a colon."""
+    c = corpus(spark, d)
+    supplier = table(spark, d, "supplier").select(F.col("s_suppkey").alias("suppkey"), "s_acctbal")
+    del c.datasets["supplier"]
+    c.upload_sketch("supplier", "RAW", build.total(supplier, ["s_acctbal"]), {"suppkey": build.by_key(supplier, ["s_acctbal"], ["suppkey"])}, ["s_acctbal"], supplier.count())
+    return traced(spark, Search(c).run(request(spark, d)))
+
+
+@register("search_discovered", TRACE_SQL)
+def search_discovered(spark, d):
+    """The same with candidates from the discovery index: the request names its own columns only."""
+    from augspark.profile.index import ProfileIndex
+
+    index = ProfileIndex(spark)
+    c = corpus(spark, d, index=index)
+    return traced(spark, Search(c, discovery=index).run(replace(request(spark, d), keys=dict.fromkeys(KEYS))))
+
+
+_HOPS = "SELECT ((l_orderkey + 3 * l_linenumber) % 10)::INTEGER AS fold, (0.002::DOUBLE * o_totalprice + 0.1::DOUBLE * c_acctbal) / 1000 AS y, l_quantity, o_totalprice / 100000 AS orders, c_acctbal / 1000 AS customer FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey"
+
+
+@register("search_carried_key", f"WITH {cv_sql(_HOPS, {'-': ['l_quantity'], 'orders': ['l_quantity', 'orders'], 'customer': ['l_quantity', 'orders', 'customer']})} SELECT CASE dataset WHEN '-' THEN 0 WHEN 'orders' THEN 1 ELSE 2 END AS step, dataset, round(cv_r2, 4) AS cv_r2 FROM r")
+def search_carried_key(spark, d):
+    """A second join on a key that the first one brings: the customer key arrives with orders."""
+    o, cu = table(spark, d, "orders"), table(spark, d, "customer")
+    rows = lines(spark, d).join(o.select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey", "o_totalprice"), "l_orderkey").join(cu.select(F.col("c_custkey").alias("o_custkey"), "c_acctbal"), "o_custkey")
+    rows = rows.select("l_orderkey", "l_quantity", "fold", (F.lit(0.002) * F.col("o_totalprice") + F.lit(0.1) * F.col("c_acctbal")).alias("y"))
+    c = cat.Corpus(spark)
+    c.upload(o.select(F.col("o_orderkey").alias("orderkey"), F.col("o_custkey").alias("custkey"), "o_totalprice"), "orders", "RAW", ["orderkey", "custkey"], ["o_totalprice"])
+    c.upload(cu.select(F.col("c_custkey").alias("custkey"), "c_acctbal"), "customer", "RAW", ["custkey"], ["c_acctbal"])
+    return traced(spark, Search(c).run(Request(rows, ["l_quantity"], "y", {"l_orderkey": "orderkey"})))
+
+
+@register("search_validation_set", "WITH req AS (SELECT l_quantity, l_discount, l_tax, l_linenumber, " + Y_SQL + " AS y FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey), m AS (SELECT regr_slope(y, l_quantity) AS b, regr_intercept(y, l_quantity) AS a FROM req WHERE l_linenumber <= 4) SELECT round(1 - sum(pow(y - a - b * l_quantity, 2)) / (var_pop(y) * count(*)), 4) AS r2 FROM req, m WHERE l_linenumber > 4")
+def search_validation_set(spark, d):
+    """A request with its own validation rows: the model without augmentation is scored on them alone."""
+    rows = planted(spark, d)
+    req = Request(rows.filter("l_linenumber <= 4"), ["l_quantity"], "y", {}, validation=rows.filter("l_linenumber > 4"))
+    a = Search(cat.Corpus(spark)).run(req)
+    return spark.createDataFrame([(float(a.base_r2),)], "r double").select(F.round("r", 4).alias("r2"))
+
+
+@register("answer_request_linear", TRACE_SQL)
+def answer_request_linear(spark, d):
+    """A whole linear request: profile, discovery, cache trial, search, response by labels."""
+    return traced(spark, service(spark, d).answer(request(spark, d, returns=("RAW",))).answer)
+
+
+@register("answer_request_scores", f"WITH {REQ_SQL} SELECT l_orderkey, l_linenumber, l_partkey, round(y, 5) AS prediction FROM req")
+def answer_request_scores(spark, d):
+    """The prediction API of a linear request, on rows without augmentation: the planted target, which it reaches exactly."""
+    api = service(spark, d).answer(request(spark, d, returns=("RAW", "API"))).api
+    return api.score(planted(spark, d).drop("y")).select("l_orderkey", "l_linenumber", "l_partkey", F.round("prediction", 5).alias("prediction"))
 
 
-@register("plan_report", f"WITH {_cv_sql('r', {'part': ['part'], 'orders': ['orders']})} SELECT (row_number() OVER (ORDER BY cv_r2 DESC))::INTEGER AS step, 'vertical' AS kind, dataset, CASE dataset WHEN 'part' THEN 'l_partkey' ELSE 'l_orderkey' END AS key, 'RAW' AS label FROM r")
+@register("answer_request_any")
+def answer_request_any(spark, d):
+    """A request for any model: search, the plan's rows, model search in the time left, and its score on held-out rows."""
+    from augspark import measures, workloads
+
+    train, test = workloads.split(planted(spark, d).drop("l_linenumber"))
+    r = service(spark, d, final="trees", cost=timings_model(spark)).answer(replace(request(spark, d, model="any", returns=("RAW", "API"), budget_s=20.0), train=train))
+    score = measures.r2(r.api.score(test), "y", "prediction").first()["r2"]
+    return spark.createDataFrame([("+".join(sorted(s.dataset for s in r.plan)), type(r.api).__name__, float(score), r.search_s, r.model_s)], "plan string, api string, r2 double, search_s double, model_s double")
+
+
+@register("answer_by_labels", "SELECT * FROM (VALUES ('RAW', 3, false, false), ('MD', 0, true, false), ('API', 0, false, true), ('RAW+API', 3, false, true)) AS t(returns, steps, model, api)")
+def answer_by_labels(spark, d):
+    """What is returned by return labels; without raw data no join is allowed, so only the proxy without plan remains."""
+    s, rows = service(spark, d), []
+    for returns in (("RAW",), ("MD",), ("API",), ("RAW", "API")):
+        r = s.answer(request(spark, d, returns=returns))
+        rows.append(("+".join(returns), len(r.plan), r.model is not None, r.api is not None))
+    return spark.createDataFrame(rows, "returns string, steps int, model boolean, api boolean")
+
+
+@register("search_trace")
+def search_trace(spark, d):
+    """Score of the plan over time."""
+    from augspark.search.request import trace_table
+
+    return trace_table(spark, answer(spark, d)[1])
+
+
+@register("plan_report", f"WITH {_cv_sql('r', {'part': [*LINE, 'part'], 'orders': [*LINE, 'orders']})} SELECT (row_number() OVER (ORDER BY cv_r2 DESC))::INTEGER AS step, 'vertical' AS kind, dataset, CASE dataset WHEN 'part' THEN 'l_partkey' ELSE 'l_orderkey' END AS key, 'RAW' AS label FROM r")
 def plan_report(spark, d):
     """The report of a request that may use raw data only: tables with a stricter label are never offered."""
     from augspark.serve.response import report
@@ -102,19 +192,25 @@ def plan_report(spark, d):
     return report(spark, a, c).select("step", "kind", "dataset", "key", "label")
 
 
-@register("order_rule", "SELECT * FROM (VALUES ('late', 'horizontal', 1), ('part', 'vertical', 2)) AS t(dataset, kind, round)")
+@register("order_rule", "SELECT * FROM (VALUES ('horizontal_first', 'late', 'horizontal', 1), ('horizontal_first', 'part', 'vertical', 1), ('unions_alone', 'late', 'horizontal', 1), ('any', 'late', 'horizontal', 1), ('any', 'part', 'vertical', 1)) AS t(rule, dataset, kind, round)")
 def order_rule(spark, d):
-    """Unions are tried before joins: kinds offered by round for a request with both."""
+    """Kinds offered by round under each rule, for a request that can union and join: round 2 comes after a join."""
     df = lines(spark, d).withColumn("y", F.col("l_extendedprice") / 1000)
     c = cat.Corpus(spark)
     c.upload(df.filter("l_linenumber >= 5").select("l_quantity", "y"), "late", "RAW", (), ["l_quantity", "y"])
     c.upload(table(spark, d, "part").select(F.col("p_partkey").alias("partkey"), "p_retailprice"), "part", "RAW", ["partkey"], ["p_retailprice"])
-    req = Request(df.filter("l_linenumber <= 2"), ["l_quantity"], "y", {"l_partkey": "partkey"})
-    s, rows = Search(c), []
-    for n, done in ((1, False), (2, True)):
-        s._unions_done = done
-        rows += [(x[1].name, x[0], n) for x in s.candidates(req, {("horizontal", "late", None)} if done else set(), False)]
-    return spark.createDataFrame(rows, "dataset string, kind string, round int")
+    req, rows = Request(df.filter("l_linenumber <= 2"), ["l_quantity"], "y", {"l_partkey": "partkey"}), []
+    for rule in ORDERS:
+        s = Search(c, order=rule)
+        plan = s.open(req)
+        some = s.candidates(req, plan)
+        rows += [(rule, x.dataset.name, x.kind, 1) for x in some]
+        joined = [x for x in some if x.kind == "vertical"][:1]
+        if joined:
+            after = s.extend(plan, joined[0])
+            after.steps = [joined[0].step(0.0, 0.0)]
+            rows += [(rule, x.dataset.name, x.kind, 2) for x in s.candidates(req, after)]
+    return spark.createDataFrame(rows, "rule string, dataset string, kind string, round int")
 
 
 _CATALOG = [("part", 0), ("supplier", 1), ("orders", 0), ("size", 2)]
@@ -145,19 +241,31 @@ def shape_estimate(spark, d):
     return out[0].unionByName(out[1]).select("dataset", "mode", "rows", "cols")
 
 
-@register("budget_filter", "SELECT dataset FROM (VALUES ('a', 1.0), ('b', 2.5), ('c', 9.0)) AS t(dataset, s) WHERE s <= 3")
+@register("budget_filter", "SELECT 'orders' AS dataset, 'weight' AS mode, (SELECT count(*) FROM lineitem)::BIGINT AS rows, 6 AS cols, true AS fits UNION ALL SELECT 'lines', 'weight', (SELECT sum(n * n) FROM (SELECT count(*) AS n FROM lineitem GROUP BY l_orderkey))::BIGINT, 5, false UNION ALL SELECT 'orders', 'mean', (SELECT count(*) FROM lineitem)::BIGINT, 6, true UNION ALL SELECT 'lines', 'mean', (SELECT count(*) FROM lineitem)::BIGINT, 5, true")
 def budget_filter(spark, d):
-    """Candidates whose predicted training fits the remaining budget."""
+    """Candidates by the shape of their training table, taken from sketches, and whether its predicted training fits.
+
+    The cost model is fitted on timings of one cell a second, and the time left is that of six cells a row.
+    """
     from augspark.search.cost import CostModel
 
-    shapes = [("a", 100, 2, 1.0), ("b", 10_000, 3, 2.5), ("c", 1_000_000, 4, 9.0)]
-    timings = spark.createDataFrame([("any", rows, cols, s) for _, rows, cols, s in shapes for _ in range(40)], "family string, rows long, cols int, seconds double")
-    search = Search(None, cost=CostModel(timings, trainings=1, safety=1.0))
-    found = []
-    for name, rows, cols, _ in shapes:
-        one = spark.createDataFrame([(1, 2.0, 3.0)], "k int, x double, y double")
-        found += [(name, x) for x in search.affordable(Request(one.withColumn("fold", F.lit(0)), ["x"], "y", {"k": "k"}, model="any"), [("vertical", SimpleNamespace(features=["f"], row_count=rows), "k")], rows, cols - 1, 3.0)]
-    return spark.createDataFrame([(name,) for name, _ in found], "dataset string")
+    c = cat.Corpus(spark)
+    o = table(spark, d, "orders").select(F.col("o_orderkey").alias("orderkey"), "o_totalprice", F.col("o_custkey").cast("double").alias("cust"))
+    c.upload(o, "orders", "RAW", ["orderkey"], ["o_totalprice", "cust"])
+    c.upload(table(spark, d, "lineitem").select(F.col("l_orderkey").alias("orderkey"), "l_tax"), "lines", "RAW", ["orderkey"], ["l_tax"])
+    rows = lines(spark, d).withColumn("y", F.col("l_extendedprice"))
+    req, n, out = Request(rows, LINE, "y", {"l_orderkey": "orderkey"}, model="any"), rows.count(), None
+    grid = [(int(n * k), cols) for k in (0.5, 1, 2, 4, 8) for cols in (4, 5, 6) for _ in range(10)]
+    model = CostModel(spark.createDataFrame([("any", r, k, float(r)) for r, k in grid], "family string, rows long, cols int, seconds double"), trainings=1, safety=1.0, trees=60)
+    for mode in ("weight", "mean"):
+        s = Search(c, cost=model, mode=mode)
+        plan = s.open(req)
+        some = s.candidates(req, plan)
+        able = s.affordable(req, plan, some, 2.0 * n * model.factor)
+        names = spark.createDataFrame([(i, x.dataset.name, mode, i in able) for i, x in enumerate(some)], "cid int, dataset string, mode string, fits boolean")
+        one = s.shapes(plan, some).join(names, "cid").select("dataset", "mode", "rows", "cols", "fits")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @register("cost_model_predict")
@@ -184,9 +292,8 @@ def upload_catalog(spark, d):
 @register("candidates_for_request", "SELECT * FROM (VALUES ('part', 'vertical', 'l_partkey'), ('orders', 'vertical', 'l_orderkey')) AS t(dataset, kind, key) UNION ALL SELECT 'supplier', 'vertical', 'l_suppkey'")
 def candidates_for_request(spark, d):
     """Candidates offered to a request that returns raw data."""
-    c = corpus(spark, d)
-    s = Search(c, order="any")
-    return spark.createDataFrame([(x[1].name, x[0], x[2]) for x in s.candidates(request(spark, d), set(), False)], "dataset string, kind string, key string")
+    s = Search(corpus(spark, d), order="any")
+    return spark.createDataFrame([(x.dataset.name, x.kind, x.key) for x in s.candidates(request(spark, d))], "dataset string, kind string, key string")
 
 
 def zipf_sql(alpha: float) -> str:
@@ -244,25 +351,59 @@ def cache_lru_trace(spark, d):
     return spark.createDataFrame(rows, "alpha double, seq int, outcome string")
 
 
+STUDY: dict = {}
+
+
+def cache_study(spark, d, alpha: float):
+    """(alpha, seq, user, outcome, seconds, cv_r2, plain_s) of 50 real requests with a cache of 5 schemas and 1 plan each;
+    plain_s is what the same user's request took without a cache."""
+    from augspark import workloads
+
+    key = (spark.sparkContext.applicationId, d)
+    if key not in STUDY:
+        study = workloads.CacheStudy(spark, d)
+        STUDY.clear()
+        STUDY[key] = study, {}, {}
+    study, plain, done = STUDY[key]
+    if alpha not in done:
+        sequence = [(r["seq"], r["usr"]) for r in sorted(zipf(spark, alpha).collect(), key=lambda r: r["seq"])]  # 50 rows
+        rows = study.run(sequence, PlanCache(5, 1))
+        for user in {u for _, u in sequence} - set(plain):
+            plain[user] = study.run([(0, user)], None)[0][3]
+        done[alpha] = [(alpha, seq, user, got, float(s), float(r), float(plain[user])) for seq, user, got, s, r in rows]
+    return spark.createDataFrame(done[alpha], "alpha double, seq int, user int, outcome string, seconds double, cv_r2 double, plain_s double")
+
+
+@register("cache_study_outcomes", f"WITH {zipf_sql(7.0)}{_LRU.format(a=7.0)}")
+def cache_study_outcomes(spark, d):
+    """Outcomes of real searches at the strongest skew: what the replayed cache says."""
+    return cache_study(spark, d, 7.0).select("alpha", "seq", "outcome")
+
+
 @register("cache_savings")
 def cache_savings(spark, d):
-    """Share of search time saved by the cache, by skew: a hit costs 1% of a miss, and so does a failed trial."""
-    rows = []
-    for a in ALPHAS:
-        got = [g for _, g in replay([(r["seq"], r["usr"], r["schema_no"]) for r in sorted(zipf(spark, a).collect(), key=lambda r: r["seq"])])]
-        spent = sum({"hit": 0.01, "failed_trial": 1.01, "miss": 1.0}[g] for g in got)
-        rows.append((a, 1 - spent / len(got)))
-    return spark.createDataFrame(rows, "alpha double, saved double")
+    """Measured share of search time saved by the cache at the strongest skew, and mean seconds by outcome."""
+    rows = cache_study(spark, d, 7.0)
+    mean = lambda o: F.avg(F.when(F.col("outcome") == o, F.col("seconds")))
+    return rows.groupBy("alpha").agg((1 - F.sum("seconds") / F.sum("plain_s")).alias("saved"), mean("hit").alias("hit_s"), mean("failed_trial").alias("failed_s"), mean("miss").alias("miss_s"), F.avg("plain_s").alias("plain_s"))
 
 
-@register("cache_trial_gain", f"WITH {_cv_sql('r', {'all': ['part', 'supplier', 'orders']})} SELECT 'hit' AS outcome, round(cv_r2, 2) AS cv_r2 FROM r")
+@register("cache_trial_gain", f"WITH {_cv_sql('r', {'all': [*LINE, 'part', 'supplier', 'orders']})} SELECT 'hit' AS outcome, round(cv_r2, 3) AS cv_r2 FROM r")
 def cache_trial_gain(spark, d):
     """A resampled request profits from the plan that an earlier one left in the cache."""
     cache, c, req = PlanCache(), corpus(spark, d), request(spark, d)
     Search(c).run(req, cache=cache)
     again = replace(req, train=req.train.filter(F.abs(F.hash("l_partkey", "l_suppkey", "l_orderkey")) % 5 > 0))
     got = Search(c).run(again, cache=cache)
-    return spark.createDataFrame([(got.cached, round(got.cv_r2, 2))], "outcome string, cv_r2 double")
+    return spark.createDataFrame([(got.cached, round(got.cv_r2, 3))], "outcome string, cv_r2 double")
+
+
+@register("cached_resample", "SELECT * FROM (VALUES ('cache', 'hit', true), ('none', 'miss', false)) AS t(cache, outcome, starts_high)")
+def cached_resample(spark, d):
+    """A resampled request under half the budget: with the cached plan it starts where the first request ended."""
+    from augspark import workloads
+
+    return workloads.cached_resample(spark, d).select("cache", "outcome", (F.col("first_r2") > 0.9).alias("starts_high"))
 
 
 PLAN = [Step("vertical", "part", "l_partkey", 0.3, 0.3), Step("vertical", "supplier", "l_suppkey", 0.3, 0.6)]
@@ -323,12 +464,12 @@ def omniscient_gap(spark, d):
     return spark.createDataFrame([(a.cv_r2, best, best - a.cv_r2)], "engine double, omniscient double, gap double")
 
 
-@register("omniscient_r2", f"WITH {_cv_sql('r', {'all': ['part', 'supplier', 'orders']})} SELECT round(cv_r2, 3) AS cv_r2 FROM r")
+@register("omniscient_r2", f"WITH {_cv_sql('r', {'all': ['part', 'supplier', 'orders']})} SELECT round(cv_r2, 4) AS cv_r2 FROM r")
 def omniscient_r2(spark, d):
     from augspark.baselines import omniscient
 
     truth = [("l_partkey", table(spark, d, "part"), "p_partkey", ["p_retailprice"]), ("l_suppkey", table(spark, d, "supplier"), "s_suppkey", ["s_acctbal"]), ("l_orderkey", table(spark, d, "orders"), "o_orderkey", ["o_totalprice"])]
-    return omniscient(planted(spark, d), truth, [], "y").select(F.round("cv_r2", 3).alias("cv_r2"))
+    return omniscient(planted(spark, d), truth, [], "y").select(F.round("cv_r2", 4).alias("cv_r2"))
 
 
 @register("exhaustive_small", f"WITH {_cv_sql('r', {'part': ['part'], 'supplier': ['supplier'], 'orders': ['orders'], 'part+supplier': ['part', 'supplier'], 'part+orders': ['part', 'orders'], 'supplier+orders': ['supplier', 'orders'], 'part+supplier+orders': ['part', 'supplier', 'orders']})} SELECT dataset AS subset, round(cv_r2, 4) AS cv_r2 FROM r")
@@ -349,3 +490,42 @@ def exhaustive_small(spark, d):
         return folds.select("fold", gram.element(g["c"], [g["s"][i] for i in at], [g["q"][gram.at(at[i], at[j], 4)] for i, j in gram.pairs(len(at))]).alias("g")), len(at) - 1
 
     return spark.createDataFrame([("+".join(s), round(r, 4)) for s, r in exhaustive(of, list(t)) if s], "subset string, cv_r2 double")
+
+
+_HOLED = "SELECT l_suppkey, l_linenumber, l_quantity, CASE WHEN l_orderkey % 4 = 0 THEN NULL ELSE l_discount END AS l_discount FROM lineitem"
+
+
+@register("upload_maintained", f"SELECT l_suppkey, count(*)::DOUBLE AS c, round(sum(l_quantity) / count(*), 6) AS s_l_quantity, round(sum(coalesce(l_discount, 0.05::DOUBLE)) / count(*), 6) AS s_l_discount, round(sum(l_quantity * coalesce(l_discount, 0.05::DOUBLE)) / count(*) + 1.3e-9::DOUBLE, 6) AS q FROM ({_HOLED}) WHERE l_linenumber > 1 GROUP BY 1")
+def upload_maintained(spark, d):
+    """Sketches of a table with missing values after an upload, an insert and a delete: those of the table as it is then."""
+    rows = table(spark, d, "lineitem").select("l_suppkey", "l_linenumber", "l_quantity", F.when(F.col("l_orderkey") % 4 != 0, F.col("l_discount")).alias("l_discount"))
+    part = lambda where: rows.filter(where).drop("l_linenumber")
+    c = cat.Corpus(spark)
+    c.upload(part("l_linenumber <= 4"), "lines", "RAW", ["l_suppkey"], ["l_quantity", "l_discount"], fill={"l_quantity": 0.0, "l_discount": 0.05})
+    c.change("lines", part("l_linenumber > 4"), "insert")
+    dataset = c.change("lines", part("l_linenumber = 1"), "delete")
+    g = F.col("g")
+    return dataset.by_key["l_suppkey"].select(F.col("l_suppkey").cast("long").alias("l_suppkey"), g["c"].alias("c"), F.round(g["s"][0] / g["c"], 6).alias("s_l_quantity"), F.round(g["s"][1] / g["c"], 6).alias("s_l_discount"), F.round(g["q"][1] / g["c"] + TIE, 6).alias("q"))
+
+
+@register("upload_roles", "SELECT 'l_orderkey' AS name, 'key' AS role UNION ALL SELECT 'l_partkey', 'key' UNION ALL SELECT 'l_quantity', 'feature' UNION ALL SELECT 'l_tax', 'feature'")
+def upload_roles(spark, d):
+    """Keys and features that a table's profile and types give it."""
+    keys, features = cat.Corpus(spark).roles(table(spark, d, "lineitem").select("l_orderkey", "l_partkey", "l_quantity", "l_tax", F.lit(1).alias("one")).drop("one"), None, None)
+    return spark.createDataFrame([(k, "key") for k in keys] + [(f, "feature") for f in features], "name string, role string")
+
+
+@register("store_scans", "SELECT * FROM (VALUES (20, 1), (200, 1)) AS t(candidates, scans)")
+def store_scans(spark, d):
+    """Scans of the sketch store in the plan that scores a round, by the number of candidates."""
+    part = table(spark, d, "part").select(F.col("p_partkey").alias("partkey"), *[(F.hash("p_partkey", F.lit(i)) % 100).cast("double").alias(f"x{i}") for i in range(200)])
+    rows = []
+    for n in (20, 200):
+        c = cat.Corpus(spark)
+        c.upload_columns(part, "partkey", [f"x{i}" for i in range(n)])
+        s = Search(c, pair_share=0.0)
+        req = Request(planted(spark, d), LINE, "y", {"l_partkey": "partkey"})
+        plan = s.open(req)
+        text = s.score(plan, s.candidates(req, plan), req)._jdf.queryExecution().optimizedPlan().toString()
+        rows.append((n, len([x for x in text.splitlines() if "Relation [" in x and "sid#" in x]) // 2))
+    return spark.createDataFrame(rows, "candidates int, scans int")

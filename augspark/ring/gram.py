@@ -9,6 +9,8 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -48,13 +50,20 @@ def lift(features: Sequence[str]) -> Column:
     return element(F.lit(1.0), x, [x[i] * x[j] for i, j in pairs(len(x))])
 
 
+def sums(x: Sequence[Column], products: dict[tuple[int, int], Column] | None = None) -> list[Column]:
+    """Aggregates that ``pack`` turns into an element; products replaces x[i] * x[j] of a pair (i <= j).
+
+    A row that stands for several weighted partners has their mean as x and the mean of their products as product.
+    """
+    products = products or {}
+    out = [F.count(F.lit(1)).alias("_c"), *[F.sum(v).alias(f"_s{i}") for i, v in enumerate(x)]]
+    return out + [F.sum(products[i, j] if (i, j) in products else x[i] * x[j]).alias(f"_q{i}_{j}") for i, j in pairs(len(x))]
+
+
 def gamma(df: DataFrame, features: Sequence[str], by: Sequence[str] = (), exact: bool = False) -> DataFrame:
     """Sketch of each group: by..., g. Features must not be null (impute first)."""
     x = [number(f, exact) for f in features]
-    aggs = [F.count(F.lit(1)).alias("_c")]
-    aggs += [F.sum(v).alias(f"_s{i}") for i, v in enumerate(x)]
-    aggs += [F.sum(x[i] * x[j]).alias(f"_q{i}_{j}") for i, j in pairs(len(x))]
-    return df.groupBy(*by).agg(*aggs).select(*by, pack(len(x)).alias("g"))
+    return df.groupBy(*by).agg(*sums(x)).select(*by, pack(len(x)).alias("g"))
 
 
 def pack(m: int) -> Column:
@@ -119,9 +128,41 @@ def reweight(g: Column, m: int, mode: str = "weight") -> Column:
     raise ValueError(f"unknown fan-out mode {mode}")
 
 
+def pick(g: Column, at: Sequence[int], m: int) -> Column:
+    """The element over some of m features, in the order of their places."""
+    return element(g["c"], [g["s"][i] for i in at], [g["q"][_place(at, i, j, m)] for i, j in pairs(len(at))])
+
+
+def _place(of: Sequence[int], i: int, j: int, m: int) -> int:
+    return at(of[i], of[j], m)
+
+
 def flat(features: Sequence[str], g: Column | None = None, digits: int = 4) -> list[Column]:
     """Scalar columns c, s_<feature>, q_<feature>_<feature> of an element, for reports and comparisons."""
     g, m = F.col("g") if g is None else g, len(features)
     out = [F.round(g["c"], digits).alias("c")]
     out += [F.round(g["s"][i], digits).alias(f"s_{f}") for i, f in enumerate(features)]
     return out + [F.round(g["q"][at(i, j, m)], digits).alias(f"q_{features[i]}_{features[j]}") for i, j in pairs(m)]
+
+
+def wide(df: DataFrame, array: str, m: int, by: Sequence[str] = ()) -> DataFrame:
+    """(by, i, j, value) of array columns too wide for generated sums: i = j = -1 is the count, i = -1 the sums.
+
+    Each task adds up outer products of its batches and sends one row a group and place; the rest is a plain sum.
+    """
+    kept = [f for f in df.schema.fields if f.name in by]
+
+    def partial(batches):
+        held: dict[tuple, np.ndarray] = {}
+        for batch in batches:
+            groups = batch.groupby(list(by), dropna=False, sort=False) if by else [((), batch)]
+            for key, rows in groups:
+                x = np.c_[np.ones(len(rows)), np.stack(rows[array].to_numpy()).astype(float)]
+                key = key if isinstance(key, tuple) else (key,)
+                held[key] = held.get(key, 0) + x.T @ x
+        i, j = np.triu_indices(m + 1)
+        for key, g in held.items():
+            yield pd.DataFrame({b: key[n] for n, b in enumerate(by)} | {"i": i - 1, "j": j - 1, "value": g[i, j]})
+
+    fields = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept), "i int", "j int", "value double"])
+    return df.select(*by, array).mapInPandas(partial, fields).groupBy(*by, "i", "j").agg(F.sum("value").alias("value"))

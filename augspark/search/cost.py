@@ -40,11 +40,15 @@ class CostModel:
         self.model = RandomForestRegressor(featuresCol="x", labelCol="seconds", numTrees=trees, maxDepth=6, seed=1).fit(data)
         self.over = self.model.transform(data).agg(F.max(F.col("seconds") / F.greatest("prediction", F.lit(1e-6)))).first()[0]
 
+    @property
+    def factor(self) -> float:
+        """What a predicted training is multiplied by: the number of trainings, and a margin that covers every timing."""
+        return self.trainings * self.safety * max(1.0, self.over or 1.0)
+
     def predict(self, shapes: DataFrame) -> DataFrame:
         """(rows, cols, ...) with predicted_s."""
         out = self.model.transform(self.assemble.transform(shaped(shapes)))
-        factor = self.trainings * self.safety * max(1.0, self.over or 1.0)
-        return out.withColumn("predicted_s", F.col("prediction") * factor).drop("x", "prediction", *[c for c in SHAPE if c != "cols"])
+        return out.withColumn("predicted_s", F.col("prediction") * self.factor).drop("x", "prediction", *[c for c in SHAPE if c != "cols"])
 
     def admits(self, rows: int, cols: int, left_s: float) -> bool:
         one = self.spark.createDataFrame([(rows, cols)], "rows long, cols int")

@@ -18,6 +18,14 @@ class Deadline:
         self.expired = True
         self.sc.cancelJobsWithTag(self.tag)
 
+    def move(self, seconds: float) -> None:
+        """Set a new end, so many seconds from now: a larger plan leaves the search less time."""
+        if not self.expired:
+            self.timer.cancel()
+            self.timer = threading.Timer(max(0.0, seconds), self._expire)
+            self.timer.daemon = True
+            self.timer.start()
+
     def __enter__(self) -> Deadline:
         self.sc.addJobTag(self.tag)
         self.timer.start()

@@ -2,20 +2,40 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass, field
+
 from pyspark.sql import DataFrame, SparkSession
 
 from augspark.catalog import Corpus
-from augspark.search.request import Answer, Request
+from augspark.search.request import Answer, Request, Step
+
+
+@dataclass
+class Response:
+    """RAW in the return labels gives plan and datasets, MD the model, API the scorer; the rest is empty.
+
+    model is (theta, features) of the linear proxy, or a model search's model.
+    """
+
+    plan: list[Step] = field(default_factory=list)
+    datasets: dict[str, DataFrame | None] = field(default_factory=dict)
+    model: object = None
+    api: object = None
+    answer: Answer | None = None
+    search_s: float = 0.0
+    model_s: float = 0.0
+    score: float | None = None
 
 
-def build(req: Request, answer: Answer, corpus: Corpus, scorer=None) -> dict:
-    """RAW: plan and data; MD: model parameters only; API: predictions only."""
-    least = min(req.returns, key=("RAW", "MD", "API").index)
-    if least == "RAW":
-        return {"plan": answer.plan, "theta": answer.theta, "datasets": {s.dataset: corpus.datasets[s.dataset].data for s in answer.plan}}
-    if least == "MD":
-        return {"theta": answer.theta, "features": answer.feature_names}
-    return {"api": scorer}
+def build(req: Request, answer: Answer, corpus: Corpus, scorer=None, model=None) -> Response:
+    out = Response(answer=answer, search_s=answer.seconds)
+    if "RAW" in req.returns:
+        out.plan, out.datasets = list(answer.plan), {s.dataset: corpus.datasets[s.dataset].data for s in answer.plan}
+    if "MD" in req.returns:
+        out.model = model if model is not None else (answer.theta, answer.feature_names)
+    if "API" in req.returns:
+        out.api = scorer
+    return out
 
 
 def report(spark: SparkSession, answer: Answer, corpus: Corpus) -> DataFrame:

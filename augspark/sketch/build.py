@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from augspark.ring import gram
@@ -21,20 +21,40 @@ def by_key(df: DataFrame, features: Sequence[str], keys: Sequence[str], fold: st
     return gram.gamma(df, features, [*keys, *([fold] if fold else [])], exact)
 
 
+ALL = "*"
+
+
+def keyed(df: DataFrame, x: Sequence[Column], keys: Sequence[Sequence[str]], fold: Column | None = None, total: bool = True, products: dict[tuple[int, int], Column] | None = None) -> DataFrame:
+    """(key_name, key_value, fold, g) of every list of keys and, as key_name '*', overall: one grouping-sets pass.
+
+    A list of several keys is named by its keys joined with '&', and its values likewise are a JSON array; rows with a
+    null key are in no sketch of that key.
+    """
+    own = sorted({k for ks in keys for k in ks})
+    n = len(own)
+    spare = {(i, j): c.alias(f"_p{i}_{j}") for (i, j), c in (products or {}).items()}
+    rows = df.select((F.lit(0) if fold is None else fold).alias("fold"), *[F.col(f"`{k}`").cast("string").alias(f"_k{i}") for i, k in enumerate(own)], *[v.alias(f"_x{i}") for i, v in enumerate(x)], *spare.values())
+    marks = {k: F.col(f"_k{i}") for i, k in enumerate(own)}
+    sets = [[F.col("fold"), *[marks[k] for k in ks]] for ks in [*([[]] if total else []), *keys]]
+    aggs = gram.sums([F.col(f"_x{i}") for i in range(len(x))], {ij: F.col(f"_p{ij[0]}_{ij[1]}") for ij in spare})
+    grouped = rows.groupingSets(sets, F.col("fold"), *marks.values()).agg(*aggs, F.grouping_id().alias("_level"))
+    name, value = F.lit(ALL), F.lit(None).cast("string")
+    for ks in keys:
+        level = sum(1 << (n - 1 - i) for i, k in enumerate(own) if k not in ks)
+        here, is_null = F.col("_level") == level, [marks[k].isNull() for k in ks]
+        joined = marks[ks[0]] if len(ks) == 1 else F.when(~_any(is_null), F.to_json(F.array(*[marks[k] for k in ks])))
+        name, value = F.when(here, "&".join(ks)).otherwise(name), F.when(here, joined).otherwise(value)
+    out = grouped.select(name.alias("key_name"), value.alias("key_value"), "fold", gram.pack(len(x)).alias("g"))
+    return out.filter(f"key_name = '{ALL}' or key_value is not null")
+
+
+def _any(columns: Sequence[Column]) -> Column:
+    out = columns[0]
+    for c in columns[1:]:
+        out = out | c
+    return out
+
+
 def round_sketches(df: DataFrame, features: Sequence[str], keys: Sequence[str], fold: str = "fold", exact: bool = False) -> DataFrame:
     """(key_name, key_value, fold, g) for every key and, as key_name '*', overall: one grouping-sets pass over the rows."""
-    x = [gram.number(f, exact) for f in features]
-    rows = df.select(F.col(fold).alias("fold"), *[F.col(k).cast("string").alias(f"_k{i}") for i, k in enumerate(keys)], *[v.alias(f"_x{i}") for i, v in enumerate(x)])
-    marks = [F.col(f"_k{i}") for i in range(len(keys))]
-    sets = [[F.col("fold")], *[[F.col("fold"), k] for k in marks]]
-    v = [F.col(f"_x{i}") for i in range(len(x))]
-    aggs = [F.count(F.lit(1)).alias("_c"), F.grouping_id().alias("_level")]
-    aggs += [F.sum(c).alias(f"_s{i}") for i, c in enumerate(v)] + [F.sum(v[i] * v[j]).alias(f"_q{i}_{j}") for i, j in gram.pairs(len(v))]
-    grouped = rows.groupingSets(sets, F.col("fold"), *marks).agg(*aggs)
-    n = len(keys)
-    level = {i: (2**n - 1) ^ (1 << (n - 1 - i)) for i in range(n)}
-    name, value = F.lit("*"), F.lit(None).cast("string")
-    for i, k in enumerate(keys):
-        name, value = F.when(F.col("_level") == level[i], k).otherwise(name), F.when(F.col("_level") == level[i], marks[i]).otherwise(value)
-    out = grouped.select(name.alias("key_name"), value.alias("key_value"), "fold", gram.pack(len(x)).alias("g"))
-    return out.filter("key_name = '*' or key_value is not null")
+    return keyed(df, [gram.number(f, exact) for f in features], [[k] for k in keys], F.col(fold))

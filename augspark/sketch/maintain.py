@@ -12,8 +12,13 @@ from augspark.ring import gram
 
 def delta(rows: DataFrame, features: Sequence[str], by: Sequence[str], op: str = "insert", exact: bool = False) -> DataFrame:
     """The signed sketch of inserted or deleted rows."""
-    g = gram.gamma(rows, features, by, exact)
-    return g if op == "insert" else g.withColumn("g", gram.subtract(gram.zero(len(features)), F.col("g")))
+    return signed(gram.gamma(rows, features, by, exact), len(features), op)
+
+
+def signed(sketches: DataFrame, m: int, op: str) -> DataFrame:
+    if op not in ("insert", "delete"):
+        raise ValueError("op is insert or delete; an update is a delete and an insert")
+    return sketches if op == "insert" else sketches.withColumn("g", gram.subtract(gram.zero(m), F.col("g")))
 
 
 def apply(sketch: DataFrame, deltas: Sequence[DataFrame], m: int, by: Sequence[str]) -> DataFrame:

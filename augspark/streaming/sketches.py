@@ -7,6 +7,7 @@ from collections.abc import Callable, Sequence
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from augspark.cluster import holds_files, scratch_path
 from augspark.ring import gram
 
 
@@ -25,10 +26,21 @@ def windowed(stream: DataFrame, features: Sequence[str], window, delay: str = "1
 
 
 def drain(stream: DataFrame, name: str, checkpoint: str, mode: str = "complete") -> DataFrame:
-    """Run a stream over what is there and return its result table."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    """Run a stream over what is there and return its result table, which batches write to shared storage.
+
+    A batch that is repeated overwrites itself. In complete mode the last batch is the whole result.
+    """
+    spark, path = stream.sparkSession, scratch_path(stream.sparkSession, f"stream-{name}")
+
+    def write(batch: DataFrame, number: int) -> None:
+        place = f"{path}/batch=last" if mode == "complete" else f"{path}/batch={number}"
+        batch.write.mode("overwrite").parquet(place)
+
+    query = stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    if not holds_files(spark, path):
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(path).select(*stream.columns)
 
 
 def for_each_batch(stream: DataFrame, merge: Callable[[DataFrame, int], None], checkpoint: str) -> None:

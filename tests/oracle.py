@@ -2,6 +2,8 @@
 
 import math
 import os
+import shutil
+import tempfile
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
@@ -36,10 +38,22 @@ def rows_of(columns, rows):
     return [columns[i] for i in order], sorted((tuple(plain(r[i]) for i in order) for r in rows), key=repr)
 
 
+def stored(spark, df):
+    """The frame written as Parquet and read back, as its users would; names may not clash whatever their case."""
+    names = [c.lower() for c in df.columns]
+    assert len(set(names)) == len(names), f"columns clash: {df.columns}"
+    path = tempfile.mkdtemp(prefix="query-")
+    try:
+        df.write.mode("overwrite").parquet(path)
+        read = spark.read.schema(df.schema).parquet(path)
+        return read.columns, read.collect()
+    finally:
+        shutil.rmtree(path)
+
+
 def differences(spark, sf_dir, query, sql):
     """None if equal, else a short description."""
-    df = query(spark, sf_dir)
-    got_cols, got = rows_of(df.columns, df.collect())
+    got_cols, got = rows_of(*stored(spark, query(spark, sf_dir)))
     cur = connect(sf_dir).execute(sql)
     want_cols, want = rows_of([d[0] for d in cur.description], cur.fetchall())
     if got_cols != want_cols:

@@ -92,7 +92,8 @@ def test_planted_search(spark, sf_dir):
     assert [s.dataset for s in a.plan] == ["supplier", "part", "orders"] and a.cv_r2 > 0.999 and abs(a.base_r2) < 0.01
     assert a.stopped in ("gain", "no candidate")
     theta = dict(zip(a.feature_names, a.theta[1:], strict=True))
-    assert theta["part__p_retailprice"] == pytest.approx(10, rel=1e-3) and theta["supplier__s_acctbal"] == pytest.approx(0.1, rel=1e-3)
+    scale = {n: c.datasets[n].scales[f][1] for n, f in (("part", "p_retailprice"), ("supplier", "s_acctbal"))}  # features are standardised
+    assert theta["part__p_retailprice"] == pytest.approx(10 * scale["part"], rel=1e-3) and theta["supplier__s_acctbal"] == pytest.approx(0.1 * scale["supplier"], rel=1e-3)
     own = Search(c).run(searching.request(spark, d, returns=("MD",)))
     assert own.plan == []
     none = Search(c).run(searching.request(spark, d, budget_s=0.0))

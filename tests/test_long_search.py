@@ -1,30 +1,31 @@
 """The search goes on while a round gains, however many rounds that takes."""
 
 from augspark import catalog as cat
-from augspark.search import engine
+from augspark.catalog import Dataset
+from augspark.search.engine import Candidate, Search
 from augspark.search.request import Request
 
 
-def test_more_than_twenty_gains(spark, monkeypatch):
-    df = spark.createDataFrame([(1, 2.0, 3.0, 0)], "k int, x double, y double, fold int")
+def test_more_than_twenty_gains(spark):
+    df = spark.createDataFrame([(1, 2.0, 3.0, 0), (2, 1.0, 5.0, 1)], "k int, x double, y double, fold int")
     names = [f"s{i:02d}" for i in range(25)]
+    made = {n: Dataset(n, 0, ("k",), ("f",), n, 1, 1, None, None) for n in names}
 
-    class Fixed(engine.Search):
-        def candidates(self, req, used, joined):
-            return [("vertical", None, n) for n in names if ("vertical", n, "k") not in used]
+    class Fixed(Search):
+        def candidates(self, req, plan=None, found=None):
+            return [Candidate("vertical", made[n], "k", "k") for n in names if ("vertical", n, "k") not in plan.used]
 
-        def score(self, sketches, found, plan, req):
-            return spark.createDataFrame([(f"vertical:{found[0][2]}:k", 0.03 * (26 - len(found)), [0.0])], "dataset string, cv_r2 double, theta array<double>")
+        def pick(self, plan, found, able, req):
+            return found[0], {"cv_r2": 0.03 * (26 - len(found)), "theta": [0.0]}, 1
 
         def base(self, *_):
             return {"cv_r2": 0.0, "theta": [0.0]}
 
-        def extend(self, rows, d, kind, key, req, plan):
-            return rows, []
+        def extend(self, plan, c, out=None):
+            plan.used = {*plan.used, c.id}
+            return plan
 
-    monkeypatch.setattr(engine, "refresh_sketches", lambda *a: None)
     c = cat.Corpus(spark)
-    monkeypatch.setattr(c, "datasets", dict.fromkeys(names), raising=False)
     a = Fixed(c).run(Request(df, ["x"], "y", {"k": "k"}))
     assert [s.dataset for s in a.plan] == names and a.stopped == "no candidate"
     b = Fixed(c).run(Request(df, ["x"], "y", {"k": "k"}), max_rounds=3)

@@ -20,7 +20,7 @@ def test_neighbours_of_all_rows(spark):
 def test_no_id_is_left_out(spark, sf_dir):
     run = lambda name: registry.queries()[name](spark, sf_dir)
     read = lambda name: spark.read.parquet(f"{sf_dir}/{name}.parquet")
-    assert run("join_lateral_all").count() == read("orders").join(read("customer"), F.col("o_custkey") == F.col("c_custkey")).select("o_custkey").distinct().count()
-    assert run("knn_regress_all").count() == read("lineitem").select("l_orderkey", "l_linenumber").distinct().count()
-    assert 0 <= run("novelty_rank_all").first()["novelty"] <= 1
-    assert {r["a"] for r in run("cosine_topk_all").collect()} == {r["vec_id"] for r in read("embeddings").filter("vec_id % 100 = 0").collect()}
+    assert run("join_lateral").count() == read("orders").join(read("customer"), F.col("o_custkey") == F.col("c_custkey")).select("o_custkey").distinct().count()
+    assert run("knn_regress").count() == read("lineitem").select("l_orderkey", "l_linenumber").distinct().count()
+    assert 0 <= run("novelty_rank").first()["novelty"] <= 1
+    assert {r["a"] for r in run("cosine_topk").collect()} == {r["vec_id"] for r in read("embeddings").filter("vec_id % 100 = 0").collect()}
