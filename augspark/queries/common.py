@@ -73,7 +73,7 @@ def cv_sql(base: str, sets: dict[str, list[str]], y: str = "y", name: str = "r")
     """CTEs that end in ``name`` (dataset, cv_r2): mean fold R² of ordinary least squares on each list of columns.
 
     base is a query with fold and the columns. Covariances of the training side of a fold are swept column by column, which
-    leaves the parameters in the target's column; they are then measured on the fold's own sums.
+    leaves the parameters in the target's column; they are then measured on the fold's own sums, unless its target is constant.
     """
     every = sorted({x for xs in sets.values() for x in xs}) + [y]
     cells = [(a, b) for i, a in enumerate(every) for b in every[i:]]
@@ -97,7 +97,7 @@ def cv_sql(base: str, sets: dict[str, list[str]], y: str = "y", name: str = "r")
         w = [f"w.c{a}_{k}" for a in range(k)]
         bias = f"(v.m{k} - m.m{k})" + "".join(f" - {w[a]} * (v.m{a} - m.m{a})" for a in range(k))
         quad = f"v.c{k}_{k}" + "".join(f" - 2 * {w[a]} * v.c{a}_{k}" for a in range(k)) + "".join(f" + {w[a]} * {w[b]} * v.c{min(a, b)}_{max(a, b)}" for a in range(k) for b in range(k))
-        parts.append(f"SELECT '{label}' AS dataset, avg(1 - (({quad}) + v.n * pow({bias}, 2)) / v.c{k}_{k}) AS cv_r2 FROM {name}_{i}_{k} w JOIN {name}_{i}_v v USING (fold) JOIN {name}_{i}_m m USING (fold)")
+        parts.append(f"SELECT '{label}' AS dataset, avg(CASE WHEN v.c{k}_{k} > 1e-9 THEN 1 - (({quad}) + v.n * pow({bias}, 2)) / v.c{k}_{k} END) AS cv_r2 FROM {name}_{i}_{k} w JOIN {name}_{i}_v v USING (fold) JOIN {name}_{i}_m m USING (fold)")
     return ",\n".join([*out, f"{name} AS ({' UNION ALL '.join(parts)})"])
 
 

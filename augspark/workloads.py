@@ -34,6 +34,8 @@ USEFUL = (0, 1, 5, 10, 50, 100)
 CONFIGS = ("broad", "trees", "online+broad", "engine+broad", "engine+trees", "forest+broad", "engine+hosted")
 #: A score this far below search alone doesn't count as worse: runs differ by as much.
 TOLERANCE = 0.01
+#: Test rows of a request in the leave-one-out study below which its scores say nothing.
+LEAST_TEST = 50
 LINE = ["l_quantity", "l_discount", "l_tax"]
 LINE_KEYS = {"l_partkey": "partkey", "l_suppkey": "suppkey", "l_orderkey": "orderkey"}
 
@@ -225,7 +227,10 @@ def views(spark: SparkSession, d: str) -> dict[str, tuple[DataFrame, list[str],
 
 
 def leave_one_out(spark: SparkSession, d: str, budget_s: float = 60.0, only: Sequence[str] | None = None) -> DataFrame:
-    """(dataset, alone, engine, steps): each dataset is the request once, its first feature the target, all others its corpus."""
+    """(dataset, alone, engine, steps): each dataset is the request once, its first feature the target, all others its corpus.
+
+    Scores are null where fewer than LEAST_TEST rows are left for testing, on which they would be chance.
+    """
     corpus, found, out = Corpus(spark), views(spark, d), []
     for name, (df, keys, _) in found.items():
         corpus.upload(df, name, "RAW", keys, [c for c in df.columns if c not in keys], lineage=name)
@@ -238,7 +243,8 @@ def leave_one_out(spark: SparkSession, d: str, budget_s: float = 60.0, only: Seq
         search = Search(corpus, pair_share=0.0)
         answer = search.run(req)
         alone = unaugmented(search, req)
-        score = lambda s: float(measures.r2(s.score(test), numbers[0], "prediction").first()["r2"])  # noqa: B023, E731
+        enough = test.count() >= LEAST_TEST
+        score = lambda s: measures.r2(s.score(test), numbers[0], "prediction").first()["r2"] if enough else None  # noqa: B023, E731
         out.append((name, score(alone), score(of_plan(search, answer)), len(answer.plan)))
     return spark.createDataFrame(out, "dataset string, alone double, engine double, steps int")
 

@@ -256,3 +256,13 @@ def test_measures_of_workloads(spark, sf_dir):
     n = tasks[0].rows.count()
     assert train.count() + test.count() == n and abs(test.count() / n - 0.2) < 0.05
     assert workloads.size_class(tasks[0].rows)[1] in ("small", "medium", "large")
+
+
+def test_cache_of_real_requests(spark, sf_dir):
+    from augspark.search.cache import PlanCache
+
+    study, cache = workloads.CacheStudy(spark, sf_dir, users=4, candidates=12, domain=150), PlanCache(1, 1)
+    got = study.run([(1, 0), (2, 0), (3, 1), (4, 1), (5, 2), (6, 0)], cache)
+    assert [g[2] for g in got] == ["miss", "hit", "failed_trial", "hit", "miss", "miss"]
+    assert all(g[4] > 0.999 for g in got) and got[1][3] < got[0][3]
+    assert study.run([(1, 0)], None)[0][2] == "miss"
