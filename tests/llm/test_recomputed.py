@@ -1,15 +1,16 @@
 """Operators against plain recomputation: features, naive Bayes, ids of long texts, policies."""
 
 import math
+import random
 import re
 import zlib
 from collections import Counter
 
 import numpy as np
 import pytest
-from test_operators import documents, slow_rule
+from test_operators import base_spans, documents, slow_rule
 
-from augspark.llm import bpe, quality, rules, urls
+from augspark.llm import bpe, quality, rules, secrets, urls
 
 
 def test_quality_features_by_hand(spark):
@@ -64,3 +65,34 @@ def test_policies_read_the_same_bits(spark):
     for p, names in rules.POLICIES.items():
         assert kept[p] == {d for d, b in bits.items() if not b & (rules.mask(names) | rules.mask(rules.BASE))}
     assert np.bitwise_or.reduce(list(bits.values())) > 0
+
+
+def test_markov_spans_by_masking(spark):
+    """What fixed patterns leave: their characters are blanked, and the runs of the rest are scored one pair at a time."""
+    pair, draw = secrets.train(), random.Random(11)
+
+    def ratio(run):
+        codes = [secrets.ALPHABET.index(c) for c in run]
+        total = pair.ratio[-1, codes[0]] + sum(pair.ratio[a, b] for a, b in zip(codes, codes[1:], strict=False))
+        return total / len(run)
+
+    def slow(text):
+        base = base_spans(text)
+        masked = list(text)
+        for _, a, b in base:
+            masked[a:b] = "\0" * (b - a)
+        runs = [m.span() for m in re.finditer(r"[A-Za-z0-9+/_=-]{16,}", "".join(masked))]
+        hits = [("markov", a, b) for a, b in runs if ratio(text[a:b]) > max(0.0, pair.mean + 4.0 * pair.deviation / math.sqrt(b - a))]
+        return sorted([*base, *hits], key=lambda s: (s[1], secrets.KINDS.index(s[0]), s[2]))
+
+    pieces = ["token=", " ", "\n", "abcdef0123456789", "AKIA", "QWERTYUIOP1234", "international_business_account", "x", "é"]
+    found = 0
+    for _ in range(1500):
+        keys = ["".join(draw.choice(secrets.ALPHABET[:62]) for _ in range(draw.randint(8, 40))) for _ in range(2)]
+        text = "".join(draw.choice([*pieces, *keys]) for _ in range(draw.randint(1, 10)))
+        got = secrets.find_spans(text, pair)
+        assert got == slow(text), text
+        found += sum(k == "markov" for k, _, _ in got)
+    assert found > 300
+    for r in documents(spark, "/root/testdata/sf0.001").collect():
+        assert secrets.find_spans(r["text"] or "", pair) == slow(r["text"] or "")
