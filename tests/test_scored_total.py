@@ -1,5 +1,7 @@
 """A join's next total is the one it was scored by, and stand-ins for missing partners are summed once a dataset's version."""
 
+from dataclasses import replace
+
 from augspark import catalog as cat
 from augspark.assess import vertical
 from augspark.search.engine import Search
@@ -19,7 +21,7 @@ def test_rounds_form_no_total_twice(spark, monkeypatch):
     some = s.candidates(req, plan)
     best, row, _ = s.pick(plan, some, dict.fromkeys(range(len(some)), 0.0), req)
     flat = lambda df: sorted((r["key_name"], r["key_value"] or "", r["fold"], round(r["g"]["c"], 9), [round(v, 6) for v in (*r["g"]["s"], *r["g"]["q"])]) for r in df.collect())
-    assert flat(s.extend(plan, best, scored=row["f"]).sketches) == flat(s.extend(plan, best).sketches)
+    assert flat(s.extend(replace(plan, scored=row["f"]), best).sketches) == flat(s.extend(plan, best).sketches)
 
     calls = {"batch": 0, "defaults": 0}
     for name in calls:
