@@ -28,3 +28,9 @@ EVERY = {(f"d{i}", config, 60.0 * b) for i in range(1, 7) for b in (2, 4, 6, 8,
 def test_held_counts_every_request_and_budget(spark, sf_dir, runs):
     held = {r["held"]: r["requests"] for r in registry.queries()["budget_held"](spark, sf_dir).collect()}
     assert held == {True: 24, False: 6} and set(runs) == EVERY and len(runs) == 60
+
+
+def test_a_row_for_every_request_and_budget(spark, sf_dir, runs):
+    rows = registry.queries()["vary_budget"](spark, sf_dir).collect()
+    assert {(r["request"], "broad", r["budget_s"]) for r in rows} == {e for e in EVERY if e[1] == "broad"} and len(rows) == 30
+    assert set(runs) == EVERY and len(runs) == 60
